@@ -19,52 +19,68 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-LANES, LANE_BITS, POWER = 64, 24, 40
+#: A word of the vector holds two lanes: 16-bit hashes, summed in fields of 32 and 30 bits. The sum of a whole word modulo
+#: 2**62 is what is kept; a difference gives both lanes back as signed numbers.
+WORDS, LANE_BITS, POWER = 32, 16, 62
+LANES = 2 * WORDS
+MASK = 2**POWER - 1
+FIELDS = (2**LANE_BITS - 1) << 32 | (2**LANE_BITS - 1)
 MIDDLE = (2**LANE_BITS - 1) / 2
 SPREAD = (4.0**LANE_BITS - 1) / 12  # variance of a lane's hash
+PIECE = 6
 #: Most buckets that neighbours are sought in; their bounds are all that the driver holds.
 MOST_BUCKETS = 16384
 
 
 def paragraphs(text: Column) -> Column:
-    return F.filter(F.split(F.regexp_replace(text, "([.!?]) ", "$1\n"), "\n"), lambda p: p != "")
+    """Lines, sentences within them, and of a long sentence pieces of six words."""
+    marked = F.regexp_replace(F.regexp_replace(text, "([.!?]) ", "$1\n"), f"((?:[^ \n]+ ){{{PIECE}}})", "$1\n")
+    return F.filter(F.split(marked, "\n"), lambda p: p != "")
 
 
 def vector(text: Column) -> Column:
-    """Number of paragraphs, then the lanes."""
-    seeds = F.array(*[F.lit(i).cast("long") for i in range(1, LANES + 1)])
-    codes = F.transform(paragraphs(text), lambda p: F.struct(F.xxhash64(p).alias("a"), F.xxhash64(F.lit(LANES), p).alias("b")))
-    zero = F.array(*[F.lit(0).cast("long")] * LANES)
-    lanes = F.aggregate(codes, zero, lambda acc, c: F.zip_with(acc, seeds, lambda s, i: s + F.shiftrightunsigned(F.xxhash64(c["a"], i, c["b"]), 64 - LANE_BITS)))
-    return F.concat(F.array(F.size(codes).cast("long")), lanes)
-
-
-def reduced(v: Column) -> Column:
-    """Lanes modulo the power."""
-    return F.transform(v, lambda x: x.bitwiseAND(F.lit(2**POWER - 1)))
+    """Number of paragraphs, the sum of a plain hash of each, then the words of two lanes."""
+    mask = F.lit(MASK)
+    seeds = F.array(*[F.lit(i).cast("long") for i in range(1, WORDS + 1)])
+    parts = paragraphs(text)
+    zero = F.array(*[F.lit(0).cast("long")] * WORDS)
+    lanes = F.aggregate(F.transform(parts, lambda p: F.xxhash64(p)), zero, lambda acc, c: F.zip_with(acc, seeds, lambda s, i: s.bitwiseAND(mask) + F.xxhash64(c, i).bitwiseAND(F.lit(FIELDS))))
+    plain = F.aggregate(parts, F.lit(0).cast("long"), lambda s, p: s.bitwiseAND(mask) + F.xxhash64(F.lit(WORDS), p).bitwiseAND(mask))
+    return F.transform(F.concat(F.array(F.size(parts).cast("long"), plain), lanes), lambda x: x.bitwiseAND(mask))
 
 
 def printed(v: Column) -> Column:
-    return F.concat_ws("", F.transform(reduced(v), lambda x: F.lpad(F.lower(F.hex(x)), POWER // 4, "0")))
+    return F.concat_ws("", F.transform(v, lambda x: F.lpad(F.lower(F.hex(x)), 16, "0")))
 
 
 def add(a: Column, b: Column) -> Column:
     """Fingerprint vector of two documents' paragraphs together."""
-    return F.zip_with(a, b, lambda x, y: (x + y).bitwiseAND(F.lit(2**POWER - 1)))
+    return F.zip_with(a, b, lambda x, y: (x + y).bitwiseAND(F.lit(MASK)))
 
 
 def remove(a: Column, b: Column) -> Column:
     """Fingerprint vector of a's paragraphs without b's."""
-    return F.zip_with(a, b, lambda x, y: (x - y).bitwiseAND(F.lit(2**POWER - 1)))
+    return F.zip_with(a, b, lambda x, y: (x - y).bitwiseAND(F.lit(MASK)))
 
 
 def likeness(a: Column, b: Column) -> Column:
-    """From two vectors; a difference is read as the number of least size that it can be modulo the power."""
-    many = (F.element_at(a, 1) - F.element_at(b, 1)).cast("double")
+    """From two vectors. A lane of the difference, less the mean of so many hashes, is read as the number of least size that it can be."""
+    many = F.element_at(a, 1) - F.element_at(b, 1)
     both = (F.element_at(a, 1) + F.element_at(b, 1)).cast("double")
-    half, whole = 2 ** (POWER - 1), 2**POWER
-    gap = F.zip_with(F.slice(a, 2, LANES), F.slice(b, 2, LANES), lambda x, y: ((x - y + F.lit(half)).bitwiseAND(F.lit(whole - 1)) - F.lit(half)).cast("double"))
-    square = F.aggregate(gap, F.lit(0.0), lambda s, x: s + (x - many * MIDDLE) * (x - many * MIDDLE))
+    centre = (many * F.lit(2**LANE_BITS - 1)).cast("long")  # twice the mean
+
+    def near(x: Column, bits: int) -> Column:
+        half = F.lit(2 ** (bits - 1))
+        return (x + half).bitwiseAND(F.lit(2**bits - 1)) - half
+
+    def squares(x: Column, y: Column) -> Column:
+        d = (x - y).bitwiseAND(F.lit(MASK))
+        low = near(d - F.floor(centre / 2), 32) + F.floor(centre / 2)
+        high = near(F.shiftright(near(d - low, POWER), 32) - F.floor(centre / 2), POWER - 32) + F.floor(centre / 2)
+        l, h = (2 * low - centre).cast("double") / 2, (2 * high - centre).cast("double") / 2
+        return l * l + h * h
+
+    square = F.aggregate(F.zip_with(F.slice(a, 3, WORDS), F.slice(b, 3, WORDS), squares), F.lit(0.0), lambda s, x: s + x)
     apart = square / (LANES * SPREAD)
     return F.when(both == 0, F.lit(1.0)).otherwise(F.greatest(F.lit(0.0), F.least(F.lit(1.0), 1.0 - apart / both)))
 
@@ -119,5 +135,5 @@ def edited_likeness(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
     third = F.floor(n / 3).cast("int")
     edited = F.concat(F.substring(F.col("text"), F.lit(1), n - third), F.substring(F.col("next_text"), F.lit(1), third))
     rows = rows.select(key, n.cast("long").alias("n_chars"), edited.alias("edited"), "vector", "next_vector").withColumn("edited_vector", vector(F.col("edited")))
-    v, e, x = (reduced(F.col(c)) for c in ("vector", "edited_vector", "next_vector"))
+    v, e, x = (F.col(c) for c in ("vector", "edited_vector", "next_vector"))
     return rows.select(key, "n_chars", "edited", printed(F.col("vector")).alias("fingerprint"), printed(F.col("edited_vector")).alias("edited_fingerprint"), likeness(v, e).alias("near_edited"), likeness(v, x).alias("near_next"))
