@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import ann, bpe, fingerprint, langid, mixing, tokencount
+from . import ann, bpe, fingerprint, jaccard, langid, mixing, tokencount
 from .base import ship, table
 
 
@@ -13,6 +13,10 @@ def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents"), mixing.ramps((3, 1, 2)))
 
 
+def op2_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.join_groups(table(spark, sf_dir, "documents"))
+
+
 def held_out(key: str = "doc_id"):
     return F.coalesce(F.pmod(F.crc32(F.col(key).cast("string")), F.lit(4)) == 2, F.lit(False))
 
@@ -45,7 +49,7 @@ def op10_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ann.nearest(table(spark, sf_dir, "embeddings"), F.pmod(F.col("id"), F.lit(50)) == 0)
 
 
-QUERIES = {f.__name__: f for f in (op1_mixing, op3_language, op5_bpe, op6_fingerprints, op7_tokens, op10_neighbours)}
+QUERIES = {f.__name__: f for f in (op1_mixing, op2_jaccard, op3_language, op5_bpe, op6_fingerprints, op7_tokens, op10_neighbours)}
 
 SQL = {
     "op1_mixing": r"""
@@ -67,14 +71,20 @@ laid AS (SELECT doc_id, size, s.source, coalesce(sum(size) OVER (PARTITION BY s.
 took AS (SELECT l.doc_id, l.size, g.source_size, g.target, g.g, l.at, greatest(0, least(g.g - l.at, l.size))::BIGINT AS one, greatest(0, least(g.g - l.at - g.source_size, l.size))::BIGINT AS two,
          row_number() OVER (ORDER BY 1) AS ignored FROM laid l JOIN goal g ON l.source IS NOT DISTINCT FROM g.source)
 SELECT doc_id, size, source_size, target, (one + two)::BIGINT AS taken FROM took
+""",
+    "op2_jaccard": r"""
+WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
+sh AS (SELECT DISTINCT doc_id, s FROM (
+  SELECT doc_id, unnest(CASE WHEN len(ws) = 0 THEN []::VARCHAR[] WHEN len(ws) < 5 THEN [array_to_string(ws, ' ')]
+         ELSE list_transform(range(1, len(ws) - 3), lambda i: array_to_string(ws[i:i + 4], ' ')) END) AS s FROM w)),
+n AS (SELECT doc_id, count(*) AS n FROM sh GROUP BY doc_id),
+k AS (SELECT doc_id, md5_number(s) AS h FROM sh),
+common AS (SELECT h FROM k GROUP BY h HAVING count(*) > 1),
+few AS (SELECT k.doc_id, k.h FROM k JOIN common USING (h)),
+inter AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS i FROM few a JOIN few b ON a.h = b.h AND a.doc_id <> b.doc_id GROUP BY 1, 2),
+links AS (SELECT a, b FROM inter JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * i >= 75 * (x.n + y.n - i)),
+reach AS (SELECT doc_id AS d, doc_id AS r FROM documents UNION SELECT reach.d, links.b FROM reach JOIN links ON links.a = reach.r)
+SELECT d.doc_id, coalesce(n.n, 0)::BIGINT AS n_shingles, m.c AS component_id
+FROM documents d LEFT JOIN n USING (doc_id) JOIN (SELECT d, min(r) AS c FROM reach GROUP BY d) m ON m.d = d.doc_id
 """,
 }
-
-
-def shipped(f):
-    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        ship(spark)
-        return f(spark, sf_dir)
-
-    run.__name__ = f.__name__
-    return run
