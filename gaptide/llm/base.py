@@ -89,13 +89,18 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def words(raw: np.ndarray, offsets: np.ndarray, fold: bool = True) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+#: Everything but ASCII letters, digits and the bytes of other letters.
+NOT_ALNUM = np.ones(256, bool)
+NOT_ALNUM[[*range(48, 58), *range(65, 91), *range(97, 123), *range(128, 256)]] = False
+
+
+def words(raw: np.ndarray, offsets: np.ndarray, fold: bool = True, between: np.ndarray = _SPACE) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """64-bit hash of each word, its document's index, and its first byte. fold: A-Z count as a-z."""
     n = len(raw)
     if not n:
         return np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64)
     low = _LOWER[raw] if fold else raw
-    gap = _SPACE[raw]
+    gap = between[raw]
     first = ~gap
     first[1:] &= gap[:-1]
     inner = offsets[:-1][(offsets[:-1] < n) & (offsets[:-1] < offsets[1:])]
@@ -111,11 +116,9 @@ def words(raw: np.ndarray, offsets: np.ndarray, fold: bool = True) -> tuple[np.n
         value[far] = mix64(value[far] + (place[far] // _LONGEST).astype(np.uint64))
     value[gap] = 0
     h = np.add.reduceat(value, starts)
-    ends = np.append(starts[1:], n)
     length = np.add.reduceat((~gap).astype(np.int64), starts)
     h = mix64(h + length.astype(np.uint64) * _R)
     doc = np.searchsorted(offsets, starts, side="right") - 1
-    del ends
     return h, doc, starts
 
 

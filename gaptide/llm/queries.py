@@ -5,8 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import ann, bpe, fingerprint, jaccard, langid, mixing, tokencount
-from .base import ship, table
+from . import ann, bpe, fingerprint, jaccard, langid, license, mixing, secrets, tokencount, warc
+from .base import table
+from .warc_sql import WARC
 
 
 def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -27,6 +28,11 @@ def op3_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.predict(docs.select("doc_id", "text"), model).select("doc_id", held_out().alias("held_out"), "lang_pred", "score")
 
 
+def op4_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
+    records = warc.derive(table(spark, sf_dir, "pages"))
+    return records.select("page_id", "kind", "record_id", "refers_to", "target_uri", "content_length", "block_digest", "payload_digest")
+
+
 def tokenizer(name: str) -> str:
     import public_tokenizers
 
@@ -45,11 +51,19 @@ def op7_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokencount.count_tokens(table(spark, sf_dir, "documents"), tokenizer("piece_bpe_32k.model"))
 
 
+def op8_licenses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license.scan(table(spark, sf_dir, "documents"))
+
+
+def op9_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secrets.scan(table(spark, sf_dir, "documents"))
+
+
 def op10_neighbours(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ann.nearest(table(spark, sf_dir, "embeddings"), F.pmod(F.col("id"), F.lit(50)) == 0)
 
 
-QUERIES = {f.__name__: f for f in (op1_mixing, op2_jaccard, op3_language, op5_bpe, op6_fingerprints, op7_tokens, op10_neighbours)}
+QUERIES = {f.__name__: f for f in (op1_mixing, op2_jaccard, op3_language, op4_warc, op5_bpe, op6_fingerprints, op7_tokens, op8_licenses, op9_secrets, op10_neighbours)}
 
 SQL = {
     "op1_mixing": r"""
@@ -87,4 +101,5 @@ reach AS (SELECT doc_id AS d, doc_id AS r FROM documents UNION SELECT reach.d, l
 SELECT d.doc_id, coalesce(n.n, 0)::BIGINT AS n_shingles, m.c AS component_id
 FROM documents d LEFT JOIN n USING (doc_id) JOIN (SELECT d, min(r) AS c FROM reach GROUP BY d) m ON m.d = d.doc_id
 """,
+    "op4_warc": WARC,
 }
