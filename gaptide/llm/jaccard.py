@@ -1,8 +1,9 @@
 """N-gram Jaccard self-join of documents and its connected groups, by count vectors and an R-tree.
 
-A document is the set of its word shingles. Shingles are hashed into GROUPS groups; the number in each group makes the
-document a point, and the sum of coordinate minima of two points bounds their overlap from above. Boxes of points in an
-R-tree bound whole sets of pairs at once; what survives is verified on the whole sets.
+A document is the set of its word shingles. Shingles are hashed into groups (about one for four shingles: with a fixed
+number, chance alone would make large sets look alike); the number in each group makes the document a point, and the sum
+of coordinate minima of two points bounds their overlap from above. Boxes of points in an R-tree bound whole sets of pairs
+at once; what survives is verified on the whole sets. Groups are low bits of a hash, so a point folds to fewer groups.
 
 An R-tree over all documents compares boxes of everything with everything, which grows with the square of the input, so
 blocks come first and lose no pair: in one order of all shingles (common ones last, by a count sketch of fixed size over
@@ -13,7 +14,7 @@ No pairs within a dense group are listed: documents with equal sets count once,
 documents are tried against the block's first one only; what links there is one group from then on.
 
 Cases: a null or blank text has an empty set and links with nothing; fewer words than a shingle make one shingle of the
-whole; rows with one doc_id are one node (their links are pooled); a null doc_id is in no group (component null); an empty
+whole; doc_id is a key (repeated whole rows count as one; rows that share it with different texts may share links); a null doc_id is in no group (component null); an empty
 table gives an empty table; texts are read whole; other columns aren't read.
 """
 
@@ -29,13 +30,26 @@ from pyspark.sql import functions as F
 
 from .base import cut, mix64, shingles, ship, utf8, words
 
-GROUPS = 64
+LEAST_GROUPS = 16
 CELL_BITS, CELL_BLOCK = 19, 1 << 13
 BITMAP = 1 << 25
 #: Bytes of text that are hashed at once.
 AT_ONCE = 4 << 20
 
 
+def groups_for(n: int) -> int:
+    return max(LEAST_GROUPS, 1 << max(0, (n // 4 - 1)).bit_length())
+
+
+def point(s: np.ndarray) -> np.ndarray:
+    g = groups_for(len(s))
+    return np.bincount((s & np.uint64(g - 1)).astype(np.int64), minlength=g).astype(np.uint16)
+
+
+def folded(p: np.ndarray, groups: int) -> np.ndarray:
+    return p.astype(np.int32).reshape(-1, groups).sum(axis=0)
+
+
 def parts_of(offsets: np.ndarray) -> Iterator[tuple[int, int]]:
     """Ranges of rows of about AT_ONCE bytes each, one row at least."""
     lo, n = 0, len(offsets) - 1
@@ -106,15 +120,15 @@ def described(docs: DataFrame, level: np.ndarray, width: int) -> DataFrame:
                     m = mix64(s + np.uint64(1))
                     one.append(m.sum(dtype=np.uint64).view(np.int64))
                     two.append(np.bitwise_xor.reduce(mix64(m ^ np.uint64(0xA5A5))).view(np.int64) if len(s) else 0)
-                    points.append(np.bincount((s & np.uint64(GROUPS - 1)).astype(np.int64), minlength=GROUPS).astype(np.int32))
+                    points.append(point(s).tobytes())
                     order = np.sort(lv[s >> np.uint64(64 - CELL_BITS)] << np.uint64(59) | (mix64(s) >> np.uint64(5)))
                     lead.append(order[: len(s) - (3 * len(s) + 3) // 4 + 1].view(np.int64) if len(s) else order.view(np.int64))
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(lo, len(sets)), pa.array(n, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(points, pa.list_(pa.int32())), pa.array(lead, pa.list_(pa.int64()))],
+                    [batch.column(0).slice(lo, len(sets)), pa.array(n, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(points, pa.binary()), pa.array(lead, pa.list_(pa.int64()))],
                     ["doc_id", "n", "one", "two", "counts", "lead"],
                 )
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n long, one long, two long, counts array<int>, lead array<long>")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n long, one long, two long, counts binary, lead array<long>")
 
 
 def bitmap(ids: DataFrame, place: Column) -> np.ndarray:
@@ -260,6 +274,9 @@ class CountTree:
 
 def block_pairs(ids: np.ndarray, own: np.ndarray, sizes: np.ndarray, roots: np.ndarray, points: np.ndarray) -> Iterator[np.ndarray]:
     if len(ids) > 1 and (roots != roots[0]).any():
+        raw = [np.frombuffer(x, np.uint16) for x in points]
+        few = min(map(len, raw))
+        points = np.stack([folded(x, few) for x in raw])
         for i, j in CountTree(points, sizes).pairs(roots):
             keep = own[i] | own[j]  # a pair of two guests is met in their own block
             yield np.stack([np.minimum(ids[i], ids[j])[keep], np.maximum(ids[i], ids[j])[keep]])
@@ -285,7 +302,7 @@ def tree_candidates(members: DataFrame) -> DataFrame:
             if not batch.num_rows:
                 continue
             cols = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(6)]
-            cols.append(batch.column(6).flatten().to_numpy().reshape(-1, GROUPS))
+            cols.append(np.array(batch.column(6).to_pylist(), object))
             # the last block of a batch may go on in the next one
             new = np.flatnonzero((cols[0] != cols[0][-1]) | (cols[1] != cols[1][-1]))
             split = int(new[-1]) + 1 if len(new) else 0
@@ -314,6 +331,24 @@ def tree_candidates(members: DataFrame) -> DataFrame:
     return rows.repartition("token", "at").sortWithinPartitions("token", "at").mapInArrow(run, "a long, b long").distinct()
 
 
+def bounded(pairs: DataFrame, points: DataFrame) -> DataFrame:
+    """The pairs (a, b) that the bound by their points can't rule out."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ok = []
+            for n, m, x, y in zip(*(batch.column(i).to_pylist() for i in range(2, 6))):
+                x, y = np.frombuffer(x, np.uint16), np.frombuffer(y, np.uint16)
+                few = min(len(x), len(y))
+                ok.append(7 * int(np.minimum(folded(x, few), folded(y, few)).sum()) >= 3 * (n + m))
+            hit = pa.array(ok, pa.bool_())
+            yield pa.RecordBatch.from_arrays([batch.column(0).filter(hit), batch.column(1).filter(hit)], ["a", "b"])
+
+    left, right = (points.select(F.col("doc_id").alias(c), F.col("n").alias(f"n_{c}"), F.col("counts").alias(f"c_{c}")) for c in "ab")
+    sized = pairs.join(left, "a").join(right, "b").where(4 * F.least("n_a", "n_b") >= 3 * F.greatest("n_a", "n_b"))
+    return sized.select("a", "b", "n_a", "n_b", "c_a", "c_b").mapInArrow(run, "a long, b long").distinct()
+
+
 def join_groups(docs: DataFrame, width: int = 5) -> DataFrame:
     """doc_id, n_shingles and component_id (the smallest doc_id reachable by links) of every row."""
     ship(docs.sparkSession)
@@ -333,10 +368,7 @@ def join_groups(docs: DataFrame, width: int = 5) -> DataFrame:
     # each document against the first one of each of its blocks
     heads = members.groupBy("token").agg(F.min("doc_id").alias("a"))
     tried = members.join(heads, "token").where("doc_id <> a").select("a", F.col("doc_id").alias("b")).distinct()
-    left, right = (points.select(F.col("doc_id").alias(c), F.col("n").alias(f"n_{c}"), F.col("counts").alias(f"c_{c}")) for c in "ab")
-    bound = F.aggregate(F.zip_with("c_a", "c_b", lambda x, y: F.least(x, y)), F.lit(0), lambda s, x: s + x)
-    tried = tried.join(left, "a").join(right, "b").where((4 * F.least("n_a", "n_b") >= 3 * F.greatest("n_a", "n_b")) & (7 * bound >= 3 * (F.col("n_a") + F.col("n_b")))).select("a", "b").distinct()
-    edges = verified(docs, tried, width)
+    edges = verified(docs, bounded(tried, points), width)
     roots = components(edges)
 
     # blocks that still hold several groups, through the tree
@@ -347,6 +379,5 @@ def join_groups(docs: DataFrame, width: int = 5) -> DataFrame:
     roots = components(edges)
 
     by_rep = classes.join(roots, F.col("rep") == F.col("node"), "left").select("one", "two", "n", F.coalesce("root", "rep").alias("root"))
-    # rows with one doc_id and different sets are one node: both of its classes take the smaller root
     rows = base.select("doc_id", "n", "one", "two").join(by_rep, ["one", "two", "n"], "left")
     return rows.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("root", "doc_id")).alias("component_id"))
