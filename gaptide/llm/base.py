@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import os
 import tempfile
+import uuid
 import zipfile
 from pathlib import Path
 
@@ -28,6 +29,15 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint()
 
 
+def stash(df: DataFrame, name: str) -> DataFrame:
+    """Write a table as Parquet in the shared checkpoint folder and read it again."""
+    spark = df.sparkSession
+    shared_checkpoints(spark)
+    path = f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/{uuid.uuid4().hex}/{name}"
+    df.write.parquet(path)
+    return spark.read.parquet(path)
+
+
 def ship(spark: SparkSession) -> None:
     """Give the workers this package, once for each application, wherever they run."""
     app = spark.sparkContext.applicationId
@@ -137,11 +147,11 @@ def shingles(h: np.ndarray, doc: np.ndarray, n_docs: int, width: int = 5) -> tup
     if len(short):
         tail = []
         for d in short:
-            a = np.uint64(count[d])
-            for w in h[begin[d] : begin[d] + count[d]]:
-                a = mix64(np.array([a * _R + w]))[0]
+            a = count[d : d + 1].astype(np.uint64)
+            for at in range(begin[d], begin[d] + count[d]):
+                a = mix64(a * _R + h[at : at + 1])
             tail.append(a)
-        out, owner = np.concatenate((out, np.array(tail, np.uint64))), np.concatenate((owner, short))
+        out, owner = np.concatenate((out, *tail)), np.concatenate((owner, short))
         order = np.argsort(owner, kind="stable")
         out, owner = out[order], owner[order]
     return out, owner

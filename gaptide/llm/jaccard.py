@@ -26,6 +26,7 @@ import numpy as np
 import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .base import cut, mix64, shingles, ship, utf8, words
@@ -381,3 +382,12 @@ def join_groups(docs: DataFrame, width: int = 5) -> DataFrame:
     by_rep = classes.join(roots, F.col("rep") == F.col("node"), "left").select("one", "two", "n", F.coalesce("root", "rep").alias("root"))
     rows = base.select("doc_id", "n", "one", "two").join(by_rep, ["one", "two", "n"], "left")
     return rows.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), F.coalesce("root", "doc_id")).alias("component_id"))
+
+
+def one_of_each(docs: DataFrame, width: int = 5) -> DataFrame:
+    """docs with one document of each group, that of the smallest doc_id; rows without a doc_id stay."""
+    first = join_groups(docs, width).where(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
+    kept = docs.where(F.col("doc_id").isNotNull()).join(first, "doc_id", "left_semi")
+    turn = F.row_number().over(W.partitionBy("doc_id").orderBy(F.xxhash64("text")))
+    kept = kept.withColumn("turn_", turn).where("turn_ = 1").select(*docs.columns)
+    return kept.unionByName(docs.where(F.col("doc_id").isNull()))

@@ -111,3 +111,18 @@ def mix(docs: DataFrame, schedules: Sequence[Schedule], total_share: float = 1.5
     tie = [F.col(keep[0]).asc_nulls_last()]
     order = [F.col("first_position").asc_nulls_last(), *tie]
     return rows.repartitionByRange(parts, *order).sortWithinPartitions(*order)
+
+
+def materialised(docs: DataFrame, schedules: Sequence[Schedule], total_share: float = 1.5, limit: float = 2.0, seed: str = "mix") -> DataFrame:
+    """The mix itself: docs once for each pass that takes at least half of their words, range-sorted by training position.
+
+    doc_id is a key here: repeated rows are mixed as one. Documents without words, or without a doc_id, are never asked for.
+    """
+    one = docs.where(F.col("doc_id").isNotNull())
+    plan = mix(one.select("doc_id", "source", "text"), schedules, total_share, limit, seed)
+    passes = F.array(*[F.struct(F.col(f"{n}_position").alias("position"), F.col(f"{n}_taken").alias("words")) for n in ("first", "second")])
+    asked = plan.select("doc_id", "size", F.explode(passes).alias("p")).where((F.col("p.words") > 0) & (2 * F.col("p.words") >= F.col("size")))
+    asked = asked.select("doc_id", F.col("p.position").alias("position")).distinct()
+    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    placed = one.join(asked, "doc_id")
+    return placed.repartitionByRange(parts, "position", "doc_id").sortWithinPartitions("position", "doc_id").select(*docs.columns)
