@@ -2,60 +2,13 @@
 
 from __future__ import annotations
 
-import os
-import tempfile
-import uuid
-import zipfile
-from pathlib import Path
-
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
 
+from ..common import cut, shared_checkpoints, ship, stash, table
+
+__all__ = ["cut", "shared_checkpoints", "ship", "stash", "table"]
 #: ASCII white space that separates words: space, tab, line feed, vertical tab, form feed, return.
 WORD = r"[^\x20\x09-\x0D]+"
-_shipped: set[str] = set()
-
-
-def shared_checkpoints(spark: SparkSession) -> None:
-    """Leave the cluster's checkpoint folder alone; choose one only where none is set (tests)."""
-    sc = spark.sparkContext
-    if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoints-"))
-
-
-def cut(df: DataFrame) -> DataFrame:
-    """Cut the lineage through the shared checkpoint folder, so that a lost executor loses nothing."""
-    shared_checkpoints(df.sparkSession)
-    return df.checkpoint()
-
-
-def stash(df: DataFrame, name: str) -> DataFrame:
-    """Write a table as Parquet in the shared checkpoint folder and read it again."""
-    spark = df.sparkSession
-    shared_checkpoints(spark)
-    path = f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/{uuid.uuid4().hex}/{name}"
-    df.write.parquet(path)
-    return spark.read.parquet(path)
-
-
-def ship(spark: SparkSession) -> None:
-    """Give the workers this package, once for each application, wherever they run."""
-    app = spark.sparkContext.applicationId
-    if app in _shipped:
-        return
-    root = Path(__file__).resolve().parents[1]
-    target = os.path.join(tempfile.mkdtemp(prefix="package-"), f"{root.name}.zip")
-    with zipfile.ZipFile(target, "w") as z:
-        for p in sorted(root.rglob("*.py")):
-            z.write(p, p.relative_to(root.parent))
-    spark.sparkContext.addPyFile(target)
-    _shipped.add(app)
-
-
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
-
 def utf8(column) -> tuple[np.ndarray, np.ndarray]:
     """Bytes and the n+1 offsets of an Arrow string column, without making Python strings; null is empty."""
     import pyarrow as pa

@@ -34,6 +34,7 @@ from .base import cut, mix64, shingles, ship, utf8, words
 LEAST_GROUPS = 16
 CELL_BITS, CELL_BLOCK = 19, 1 << 13
 BITMAP = 1 << 25
+SMALL_BLOCK = 64
 #: Bytes of text that are hashed at once.
 AT_ONCE = 4 << 20
 
@@ -149,9 +150,9 @@ def id_place(c: str) -> Column:
     return F.pmod(F.xxhash64(c), F.lit(BITMAP))
 
 
-def postings(reps: DataFrame, shared: DataFrame) -> DataFrame:
+def postings(docs: DataFrame, shared: DataFrame) -> DataFrame:
     """doc_id, n, token: the first shingles that are in shared. Most are thrown out by a filter before any row is made of them."""
-    sent = reps.sparkSession.sparkContext.broadcast(bitmap(shared, F.col("token").bitwiseAND(F.lit(BITMAP - 1))))
+    sent = docs.sparkSession.sparkContext.broadcast(bitmap(shared, F.col("token").bitwiseAND(F.lit(BITMAP - 1))))
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bits = sent.value
@@ -162,7 +163,7 @@ def postings(reps: DataFrame, shared: DataFrame) -> DataFrame:
             row = pa.array(np.repeat(np.arange(len(size)), size)[hit])
             yield pa.RecordBatch.from_arrays([batch.column(0).take(row), batch.column(1).take(row), pa.array(token[hit])], ["doc_id", "n", "token"])
 
-    return reps.select("doc_id", "n", "lead").mapInArrow(keep, "doc_id long, n long, token long").join(shared, "token", "left_semi")
+    return docs.select("doc_id", "n", "lead").mapInArrow(keep, "doc_id long, n long, token long").join(shared, "token", "left_semi")
 
 
 def sets_of(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
@@ -284,9 +285,10 @@ def block_pairs(ids: np.ndarray, own: np.ndarray, sizes: np.ndarray, roots: np.n
 
 
 def tree_candidates(members: DataFrame) -> DataFrame:
-    """Pairs (a, b) of documents of different groups (column root) in one block (token, band of sizes) that the tree can't rule out.
+    """Pairs (a, b) of documents of different groups (column root) in one block (token) that the tree can't rule out.
 
-    A document is in its own band's block and a guest in the next one's: similar sets are at most a band apart.
+    A block of more than SMALL_BLOCK is split by bands of sizes; a document is in its own band's part and a guest in the
+    next one's: similar sets are at most a band apart.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -326,8 +328,9 @@ def tree_candidates(members: DataFrame) -> DataFrame:
             yield from done(rest)
 
     band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(4 / 3))).cast("int")
-    rows = members.withColumn("band", band)
-    rows = rows.select("*", F.explode(F.array(F.struct(F.col("band").alias("at"), F.lit(True).alias("own")), F.struct((F.col("band") + 1).alias("at"), F.lit(False).alias("own")))).alias("x"))
+    at = lambda b, own: F.struct(b.alias("at"), F.lit(own).alias("own"))
+    split = F.when(F.col("size") <= SMALL_BLOCK, F.array(at(F.lit(0), True))).otherwise(F.array(at(band, True), at(band + 1, False)))
+    rows = members.select("*", F.explode(split).alias("x"))
     rows = rows.select("token", F.col("x.at").alias("at"), F.col("x.own").alias("own"), "doc_id", "n", "root", "counts")
     return rows.repartition("token", "at").sortWithinPartitions("token", "at").mapInArrow(run, "a long, b long").distinct()
 
@@ -361,10 +364,9 @@ def join_groups(docs: DataFrame, width: int = 5) -> DataFrame:
     # first shingles that different sets share
     posted = full.select(F.explode("lead").alias("token"), "one")
     shared = cut(posted.groupBy("token").agg(F.min("one").alias("lo"), F.max("one").alias("hi")).where("lo <> hi").select("token"))
-    reps = full.join(classes.select(F.col("rep").alias("doc_id"), "one", "two", "n"), ["doc_id", "one", "two", "n"], "left_semi").dropDuplicates(["doc_id", "one", "two"])
-    reps = cut(reps.select("doc_id", "n", "counts", "lead"))
-    members = cut(postings(reps, shared))
-    points = reps.select("doc_id", "n", "counts")
+    reps = classes.select(F.col("rep").alias("doc_id")).distinct()
+    members = cut(postings(full, shared).join(reps, "doc_id", "left_semi").distinct())
+    points = full.select("doc_id", "n", "counts")
 
     # each document against the first one of each of its blocks
     heads = members.groupBy("token").agg(F.min("doc_id").alias("a"))
@@ -374,8 +376,10 @@ def join_groups(docs: DataFrame, width: int = 5) -> DataFrame:
 
     # blocks that still hold several groups, through the tree
     member = members.join(roots, F.col("doc_id") == F.col("node"), "left").select("token", "doc_id", F.coalesce("root", "doc_id").alias("root"))
-    mixed = member.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi").select("token")
-    found = tree_candidates(member.join(mixed, "token", "left_semi").join(points, "doc_id"))
+    sets = member.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("size"), F.bit_xor(F.xxhash64("doc_id")).alias("x"), F.bit_xor(F.xxhash64("doc_id", F.lit(1))).alias("y"))
+    # the shingles of one passage make blocks of the same documents: one of them is enough
+    blocks = sets.where("lo <> hi").groupBy("size", "x", "y").agg(F.min("token").alias("token")).select("token", "size")
+    found = tree_candidates(member.join(blocks, "token").join(points, "doc_id"))
     edges = edges.union(verified(docs, found.join(edges, ["a", "b"], "left_anti"), width))
     roots = components(edges)
 
