@@ -57,7 +57,7 @@ class Objective:
 
     smooth = 1.0
     strong = 0.0  # strong convexity of each g_i
-    bound: float | None = None  # bound of each g_i's support
+    bound = None  # bound of each g_i's support
 
     def constants(self) -> dict[str, float | None]:
         return {"L": self.smooth, "mu": self.strong, "B": self.bound}
