@@ -47,6 +47,14 @@ def stash(df: DataFrame, name: str) -> DataFrame:
     return df.sparkSession.read.parquet(path)
 
 
+def release(spark: SparkSession) -> None:
+    """Let Spark's cleaner remove the shuffle files of finished phases now: nothing refers to them once a lineage is cut."""
+    import gc
+
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def ship(spark: SparkSession) -> None:
     """Give the workers this package, once for each application, wherever they run."""
     app = spark.sparkContext.applicationId
