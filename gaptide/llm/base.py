@@ -4,11 +4,13 @@ from __future__ import annotations
 
 import numpy as np
 
-from ..common import cut, shared_checkpoints, ship, stash, table
+from ..common import cut, release, shared_checkpoints, ship, stash, table
 
-__all__ = ["cut", "shared_checkpoints", "ship", "stash", "table"]
+__all__ = ["cut", "release", "shared_checkpoints", "ship", "stash", "table"]
 #: ASCII white space that separates words: space, tab, line feed, vertical tab, form feed, return.
 WORD = r"[^\x20\x09-\x0D]+"
+
+
 def utf8(column) -> tuple[np.ndarray, np.ndarray]:
     """Bytes and the n+1 offsets of an Arrow string column, without making Python strings; null is empty."""
     import pyarrow as pa

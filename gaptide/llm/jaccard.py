@@ -29,7 +29,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .base import cut, mix64, shingles, ship, utf8, words
+from .base import cut, mix64, release, shingles, ship, utf8, words
 
 LEAST_GROUPS = 16
 CELL_BITS, CELL_BLOCK = 19, 1 << 13
@@ -83,13 +83,14 @@ def sketch(docs: DataFrame, width: int) -> tuple[np.ndarray, float]:
                 rows += len(sets)
                 own += np.bincount((np.concatenate(sets) >> np.uint64(64 - CELL_BITS)).astype(np.int64), minlength=cells)
         if rows:
-            blocks = own.astype(np.int32).reshape(-1, CELL_BLOCK) if own.max() < 2**31 else own.reshape(-1, CELL_BLOCK)
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(blocks), dtype=np.int32)), pa.array(np.full(len(blocks), hash(own.tobytes()[:4096]) & 31, np.int32)), pa.array([b.astype(np.int64).tobytes() for b in blocks], pa.binary())], ["block", "lot", "counts"])
+            blocks = own.reshape(-1, CELL_BLOCK)
+            small = np.int32 if own.max() < 2**31 else np.int64
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(blocks), dtype=np.int32)), pa.array(np.full(len(blocks), hash(own.tobytes()[:4096]) & 31, np.int32)), pa.array([b.astype(small).tobytes() for b in blocks], pa.binary())], ["block", "lot", "counts"])
 
     def add(frame: pd.DataFrame) -> pd.DataFrame:
         total = np.zeros(CELL_BLOCK, np.int64)
         for c in frame["counts"]:
-            total += np.frombuffer(c, np.int64)
+            total += np.frombuffer(c, np.int64 if len(c) == 8 * CELL_BLOCK else np.int32)
         return pd.DataFrame({"block": frame["block"].iloc[:1], "lot": frame["lot"].iloc[:1], "counts": [total.tobytes()]})
 
     schema = "block int, lot int, counts binary"
@@ -167,7 +168,7 @@ def postings(docs: DataFrame, shared: DataFrame) -> DataFrame:
 
 
 def sets_of(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
-    """doc_id and its packed sorted set, for the ids in wanted (a column doc_id)."""
+    """doc_id and its packed sorted set, for the ids in wanted (a column doc_id) and a few others."""
     sent = docs.sparkSession.sparkContext.broadcast(bitmap(wanted, id_place("doc_id")))
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -181,17 +182,17 @@ def sets_of(docs: DataFrame, wanted: DataFrame, width: int) -> DataFrame:
                     yield pa.RecordBatch.from_arrays([few.column(0).slice(lo, len(sets)), pa.array([s.tobytes() for s in sets], pa.binary())], ["doc_id", "members"])
 
     rows = docs.where(F.col("doc_id").isNotNull()).select(F.col("doc_id").cast("long"), F.col("text").cast("string")).select("doc_id", id_place("doc_id").alias("place"), "text")
-    return rows.mapInArrow(keep, "doc_id long, members binary").join(wanted, "doc_id", "left_semi")
+    return rows.mapInArrow(keep, "doc_id long, members binary")
 
 
 def verified(docs: DataFrame, pairs: DataFrame, width: int, lot: int = 200) -> DataFrame:
     """The pairs (a, b) whose whole sets reach the similarity. A document with many partners gets them in lots, each with a copy of its own set."""
     pairs = cut(pairs)
-    wanted = pairs.select(F.col("a").alias("doc_id")).union(pairs.select("b")).distinct()
-    sets = cut(sets_of(docs, wanted, width))
     lots = pairs.groupBy("a").agg(F.ceil(F.count(F.lit(1)) / lot).cast("int").alias("lots"))
-    heads = lots.join(sets, F.col("a") == F.col("doc_id")).select("a", F.explode(F.sequence(F.lit(0), F.col("lots") - 1)).alias("lot"), F.lit(None).cast("long").alias("b"), "members")
-    rows = pairs.join(lots, "a").withColumn("lot", F.pmod(F.xxhash64("b"), F.col("lots")).cast("int")).join(sets, F.col("b") == F.col("doc_id")).select("a", "lot", "b", "members")
+    heads = lots.select(F.col("a").alias("doc_id"), "a", F.explode(F.sequence(F.lit(0), F.col("lots") - 1)).alias("lot"), F.lit(None).cast("long").alias("b"))
+    partners = pairs.join(lots, "a").select(F.col("b").alias("doc_id"), "a", F.pmod(F.xxhash64("b"), F.col("lots")).cast("int").alias("lot"), "b")
+    roles = cut(heads.union(partners))
+    rows = sets_of(docs, roles, width).join(roles, "doc_id").select("a", "lot", "b", "members")
 
     def check(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         now, own = None, []
@@ -206,7 +207,7 @@ def verified(docs: DataFrame, pairs: DataFrame, width: int, lot: int = 200) -> D
                     links.append((a, b))
             yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in links], pa.int64()), pa.array([y for _, y in links], pa.int64())], ["a", "b"])
 
-    dealt = heads.union(rows).repartition("a", "lot").sortWithinPartitions("a", "lot", F.col("b").asc_nulls_first())
+    dealt = rows.repartition("a", "lot").sortWithinPartitions("a", "lot", F.col("b").asc_nulls_first())
     return cut(dealt.mapInArrow(check, "a long, b long").distinct())
 
 
@@ -356,7 +357,9 @@ def bounded(pairs: DataFrame, points: DataFrame) -> DataFrame:
 def join_groups(docs: DataFrame, width: int = 5) -> DataFrame:
     """doc_id, n_shingles and component_id (the smallest doc_id reachable by links) of every row."""
     ship(docs.sparkSession)
+    spark = docs.sparkSession
     counts, mean = sketch(docs, width)
+    release(spark)
     base = cut(described(docs, levels(counts, mean), width))
     full = base.where("n > 0 and doc_id is not null")
     # equal sets: one of them stands for all
@@ -364,15 +367,19 @@ def join_groups(docs: DataFrame, width: int = 5) -> DataFrame:
     # first shingles that different sets share
     posted = full.select(F.explode("lead").alias("token"), "one")
     shared = cut(posted.groupBy("token").agg(F.min("one").alias("lo"), F.max("one").alias("hi")).where("lo <> hi").select("token"))
+    release(spark)
     reps = classes.select(F.col("rep").alias("doc_id")).distinct()
     members = cut(postings(full, shared).join(reps, "doc_id", "left_semi").distinct())
+    release(spark)
     points = full.select("doc_id", "n", "counts")
 
     # each document against the first one of each of its blocks
     heads = members.groupBy("token").agg(F.min("doc_id").alias("a"))
     tried = members.join(heads, "token").where("doc_id <> a").select("a", F.col("doc_id").alias("b")).distinct()
     edges = verified(docs, bounded(tried, points), width)
+    release(spark)
     roots = components(edges)
+    release(spark)
 
     # blocks that still hold several groups, through the tree
     member = members.join(roots, F.col("doc_id") == F.col("node"), "left").select("token", "doc_id", F.coalesce("root", "doc_id").alias("root"))
@@ -381,7 +388,9 @@ def join_groups(docs: DataFrame, width: int = 5) -> DataFrame:
     blocks = sets.where("lo <> hi").groupBy("size", "x", "y").agg(F.min("token").alias("token")).select("token", "size")
     found = tree_candidates(member.join(blocks, "token").join(points, "doc_id"))
     edges = edges.union(verified(docs, found.join(edges, ["a", "b"], "left_anti"), width))
+    release(spark)
     roots = components(edges)
+    release(spark)
 
     by_rep = classes.join(roots, F.col("rep") == F.col("node"), "left").select("one", "two", "n", F.coalesce("root", "rep").alias("root"))
     rows = base.select("doc_id", "n", "one", "two").join(by_rep, ["one", "two", "n"], "left")
