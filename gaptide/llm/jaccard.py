@@ -39,13 +39,14 @@ SMALL_BLOCK = 64
 AT_ONCE = 4 << 20
 
 
-def groups_for(n: int) -> int:
-    return max(LEAST_GROUPS, 1 << max(0, (n // 4 - 1)).bit_length())
-
-
-def point(s: np.ndarray) -> np.ndarray:
-    g = groups_for(len(s))
-    return np.bincount((s & np.uint64(g - 1)).astype(np.int64), minlength=g).astype(np.uint16)
+def point(s: np.ndarray, share: int) -> np.ndarray:
+    """Number of shingles in each group, about one group for `share` shingles; as many groups as keep each number within a byte."""
+    g = max(LEAST_GROUPS, 1 << max(0, len(s) // share - 1).bit_length())
+    while True:
+        p = np.bincount((s & np.uint64(g - 1)).astype(np.int64), minlength=g)
+        if p.max(initial=0) <= 255:
+            return p.astype(np.uint8)
+        g *= 2
 
 
 def folded(p: np.ndarray, groups: int) -> np.ndarray:
@@ -110,7 +111,7 @@ def levels(counts: np.ndarray, mean: float) -> np.ndarray:
 
 
 def described(docs: DataFrame, level: np.ndarray, width: int) -> DataFrame:
-    """doc_id, n, two hashes of the set, counts (the point) and lead (the first shingles in order, enough to meet every similar set)."""
+    """doc_id, n, two hashes of the set, counts and fine (its points) and lead (the first shingles in order, enough to meet every similar set)."""
     sent = docs.sparkSession.sparkContext.broadcast(level)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -118,20 +119,21 @@ def described(docs: DataFrame, level: np.ndarray, width: int) -> DataFrame:
         for batch in batches:
             for lo, sets in shingle_sets(batch.column(1), width):
                 n = [len(s) for s in sets]
-                one, two, points, lead = [], [], [], []
+                one, two, points, fine, lead = [], [], [], [], []
                 for s in sets:
                     m = mix64(s + np.uint64(1))
                     one.append(m.sum(dtype=np.uint64).view(np.int64))
                     two.append(np.bitwise_xor.reduce(mix64(m ^ np.uint64(0xA5A5))).view(np.int64) if len(s) else 0)
-                    points.append(point(s).tobytes())
+                    points.append(point(s, 4).tobytes())
+                    fine.append(point(s, 1).tobytes())
                     order = np.sort(lv[s >> np.uint64(64 - CELL_BITS)] << np.uint64(59) | (mix64(s) >> np.uint64(5)))
                     lead.append(order[: len(s) - (3 * len(s) + 3) // 4 + 1].view(np.int64) if len(s) else order.view(np.int64))
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(lo, len(sets)), pa.array(n, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(points, pa.binary()), pa.array(lead, pa.list_(pa.int64()))],
-                    ["doc_id", "n", "one", "two", "counts", "lead"],
+                    [batch.column(0).slice(lo, len(sets)), pa.array(n, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(points, pa.binary()), pa.array(fine, pa.binary()), pa.array(lead, pa.list_(pa.int64()))],
+                    ["doc_id", "n", "one", "two", "counts", "fine", "lead"],
                 )
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n long, one long, two long, counts binary, lead array<long>")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n long, one long, two long, counts binary, fine binary, lead array<long>")
 
 
 def bitmap(ids: DataFrame, place: Column) -> np.ndarray:
@@ -277,7 +279,7 @@ class CountTree:
 
 def block_pairs(ids: np.ndarray, own: np.ndarray, sizes: np.ndarray, roots: np.ndarray, points: np.ndarray) -> Iterator[np.ndarray]:
     if len(ids) > 1 and (roots != roots[0]).any():
-        raw = [np.frombuffer(x, np.uint16) for x in points]
+        raw = [np.frombuffer(x, np.uint8) for x in points]
         few = min(map(len, raw))
         points = np.stack([folded(x, few) for x in raw])
         for i, j in CountTree(points, sizes).pairs(roots):
@@ -337,19 +339,19 @@ def tree_candidates(members: DataFrame) -> DataFrame:
 
 
 def bounded(pairs: DataFrame, points: DataFrame) -> DataFrame:
-    """The pairs (a, b) that the bound by their points can't rule out."""
+    """The pairs (a, b) that the bound by their fine points (a group for each shingle) can't rule out."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ok = []
             for n, m, x, y in zip(*(batch.column(i).to_pylist() for i in range(2, 6))):
-                x, y = np.frombuffer(x, np.uint16), np.frombuffer(y, np.uint16)
+                x, y = np.frombuffer(x, np.uint8), np.frombuffer(y, np.uint8)
                 few = min(len(x), len(y))
                 ok.append(7 * int(np.minimum(folded(x, few), folded(y, few)).sum()) >= 3 * (n + m))
             hit = pa.array(ok, pa.bool_())
             yield pa.RecordBatch.from_arrays([batch.column(0).filter(hit), batch.column(1).filter(hit)], ["a", "b"])
 
-    left, right = (points.select(F.col("doc_id").alias(c), F.col("n").alias(f"n_{c}"), F.col("counts").alias(f"c_{c}")) for c in "ab")
+    left, right = (points.select(F.col("doc_id").alias(c), F.col("n").alias(f"n_{c}"), F.col("fine").alias(f"c_{c}")) for c in "ab")
     sized = pairs.join(left, "a").join(right, "b").where(4 * F.least("n_a", "n_b") >= 3 * F.greatest("n_a", "n_b"))
     return sized.select("a", "b", "n_a", "n_b", "c_a", "c_b").mapInArrow(run, "a long, b long").distinct()
 
@@ -371,7 +373,7 @@ def join_groups(docs: DataFrame, width: int = 5) -> DataFrame:
     reps = classes.select(F.col("rep").alias("doc_id")).distinct()
     members = cut(postings(full, shared).join(reps, "doc_id", "left_semi").distinct())
     release(spark)
-    points = full.select("doc_id", "n", "counts")
+    points = full.select("doc_id", "n", "counts", "fine")
 
     # each document against the first one of each of its blocks
     heads = members.groupBy("token").agg(F.min("doc_id").alias("a"))
@@ -386,8 +388,8 @@ def join_groups(docs: DataFrame, width: int = 5) -> DataFrame:
     sets = member.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("size"), F.bit_xor(F.xxhash64("doc_id")).alias("x"), F.bit_xor(F.xxhash64("doc_id", F.lit(1))).alias("y"))
     # the shingles of one passage make blocks of the same documents: one of them is enough
     blocks = sets.where("lo <> hi").groupBy("size", "x", "y").agg(F.min("token").alias("token")).select("token", "size")
-    found = tree_candidates(member.join(blocks, "token").join(points, "doc_id"))
-    edges = edges.union(verified(docs, found.join(edges, ["a", "b"], "left_anti"), width))
+    found = tree_candidates(member.join(blocks, "token").join(points.select("doc_id", "n", "counts"), "doc_id"))
+    edges = edges.union(verified(docs, bounded(found, points).join(edges, ["a", "b"], "left_anti"), width))
     release(spark)
     roots = components(edges)
     release(spark)
