@@ -7,8 +7,9 @@ at once; what survives is verified on the whole sets. Groups are low bits of a h
 
 An R-tree over all documents compares boxes of everything with everything, which grows with the square of the input, so
 blocks come first and lose no pair: in one order of all shingles (common ones last, by a count sketch of fixed size over
-all documents, then by hash) two sets that reach the similarity share a shingle among the first n - ceil(0.75 n) + 1 of
-each. Blocks whose documents are already joined to one group are dropped, and the rest are joined through the tree.
+all documents, then by hash) two sets that reach the similarity share several shingles among the first 5/16 of each, so
+a document with fewer shared ones is like no other. Blocks whose documents are already joined to one group are dropped,
+and the rest are joined through the tree.
 
 No pairs within a dense group are listed: documents with equal sets count once, and before the tree join each block's
 documents are tried against the block's first one only; what links there is one group from then on.
@@ -53,6 +54,16 @@ def folded(p: np.ndarray, groups: int) -> np.ndarray:
     return p.astype(np.int32).reshape(-1, groups).sum(axis=0)
 
 
+def lead_size(n: int) -> int:
+    """Shingles at the head of a set's order in which each similar set shares at least least_shared(n)."""
+    return min(n, n - (3 * n + 3) // 4 + 1 + n // 16) if n else 0
+
+
+def least_shared(n):
+    """Two sets that reach the similarity have an overlap of 3/4 of the larger and of 6/7 of the smaller at least. What of it lies behind the head that ends first is no more than the rest of that set, so 1 + n // 16 for the smaller n is within both heads; the partner of a set of n may have 3/4 of n."""
+    return 1 + ((3 * n + 3) // 4) // 16
+
+
 def parts_of(offsets: np.ndarray) -> Iterator[tuple[int, int]]:
     """Ranges of rows of about AT_ONCE bytes each, one row at least."""
     lo, n = 0, len(offsets) - 1
@@ -111,7 +122,7 @@ def levels(counts: np.ndarray, mean: float) -> np.ndarray:
 
 
 def described(docs: DataFrame, level: np.ndarray, width: int) -> DataFrame:
-    """doc_id, n, two hashes of the set, counts and fine (its points) and lead (the first shingles in order, enough to meet every similar set)."""
+    """doc_id, n, two hashes of the set, counts and fine (its points) and lead (the head of its order)."""
     sent = docs.sparkSession.sparkContext.broadcast(level)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -127,7 +138,7 @@ def described(docs: DataFrame, level: np.ndarray, width: int) -> DataFrame:
                     points.append(point(s, 4).tobytes())
                     fine.append(point(s, 1).tobytes())
                     order = np.sort(lv[s >> np.uint64(64 - CELL_BITS)] << np.uint64(59) | (mix64(s) >> np.uint64(5)))
-                    lead.append(order[: len(s) - (3 * len(s) + 3) // 4 + 1].view(np.int64) if len(s) else order.view(np.int64))
+                    lead.append(order[: lead_size(len(s))].view(np.int64))
                 yield pa.RecordBatch.from_arrays(
                     [batch.column(0).slice(lo, len(sets)), pa.array(n, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(points, pa.binary()), pa.array(fine, pa.binary()), pa.array(lead, pa.list_(pa.int64()))],
                     ["doc_id", "n", "one", "two", "counts", "fine", "lead"],
@@ -154,7 +165,7 @@ def id_place(c: str) -> Column:
 
 
 def postings(docs: DataFrame, shared: DataFrame) -> DataFrame:
-    """doc_id, n, token: the first shingles that are in shared. Most are thrown out by a filter before any row is made of them."""
+    """doc_id, n, token: shingles of the heads that are in shared, of documents that have enough of them to be like another. Most are thrown out by a filter before any row is made of them."""
     sent = docs.sparkSession.sparkContext.broadcast(bitmap(shared, F.col("token").bitwiseAND(F.lit(BITMAP - 1))))
 
     def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -162,8 +173,10 @@ def postings(docs: DataFrame, shared: DataFrame) -> DataFrame:
         for batch in batches:
             lead = batch.column(2)
             token, size = lead.flatten().to_numpy(zero_copy_only=False), np.diff(lead.offsets.to_numpy())
-            hit = np.flatnonzero(taken(bits, token & (BITMAP - 1)))
-            row = pa.array(np.repeat(np.arange(len(size)), size)[hit])
+            hit, row = taken(bits, token & (BITMAP - 1)), np.repeat(np.arange(len(size)), size)
+            many = np.bincount(row, hit, len(size)) >= least_shared(batch.column(1).to_numpy())
+            hit = np.flatnonzero(hit & many[row])
+            row = pa.array(row[hit])
             yield pa.RecordBatch.from_arrays([batch.column(0).take(row), batch.column(1).take(row), pa.array(token[hit])], ["doc_id", "n", "token"])
 
     return docs.select("doc_id", "n", "lead").mapInArrow(keep, "doc_id long, n long, token long").join(shared, "token", "left_semi")
@@ -371,7 +384,9 @@ def join_groups(docs: DataFrame, width: int = 5) -> DataFrame:
     shared = cut(posted.groupBy("token").agg(F.min("one").alias("lo"), F.max("one").alias("hi")).where("lo <> hi").select("token"))
     release(spark)
     reps = classes.select(F.col("rep").alias("doc_id")).distinct()
-    members = cut(postings(full, shared).join(reps, "doc_id", "left_semi").distinct())
+    posted = postings(full, shared).join(reps, "doc_id", "left_semi").distinct().withColumn("own", F.count(F.lit(1)).over(W.partitionBy("doc_id")))
+    members = cut(posted.where(F.col("own") >= 1 + F.floor(F.floor((3 * F.col("n") + 3) / 4) / 16)).drop("own"))
+    del posted
     release(spark)
     points = full.select("doc_id", "n", "counts", "fine")
 
