@@ -1,9 +1,10 @@
 """N-gram Jaccard self-join of documents and its connected groups, by count vectors and an R-tree.
 
-A document is the set of its word shingles. Shingles are hashed into groups (about one for four shingles: with a fixed
-number, chance alone would make large sets look alike); the number in each group makes the document a point, and the sum
-of coordinate minima of two points bounds their overlap from above. Boxes of points in an R-tree bound whole sets of pairs
-at once; what survives is verified on the whole sets. Groups are low bits of a hash, so a point folds to fewer groups.
+A document is the set of its word shingles. Shingles are hashed into groups (as many as the set has shingles: with a
+fixed number, chance alone would make large sets look alike); the number in each group makes the document a point, and
+the sum of coordinate minima of two points bounds their overlap from above. Boxes of points in an R-tree, folded to a
+quarter of the groups, bound whole sets of pairs at once; pairs that survive are bounded by their whole points, and then
+verified on the whole sets. Groups are low bits of a hash, so a point folds to fewer groups.
 
 An R-tree over all documents compares boxes of everything with everything, which grows with the square of the input, so
 blocks come first and lose no pair: in one order of all shingles (common ones last, by a count sketch of fixed size over
@@ -35,14 +36,14 @@ from .base import cut, mix64, release, shingles, ship, utf8, words
 LEAST_GROUPS = 16
 CELL_BITS, CELL_BLOCK = 19, 1 << 13
 BITMAP = 1 << 25
-SMALL_BLOCK = 64
+SMALL_BLOCK = 256
 #: Bytes of text that are hashed at once.
 AT_ONCE = 4 << 20
 
 
-def point(s: np.ndarray, share: int) -> np.ndarray:
-    """Number of shingles in each group, about one group for `share` shingles; as many groups as keep each number within a byte."""
-    g = max(LEAST_GROUPS, 1 << max(0, len(s) // share - 1).bit_length())
+def point(s: np.ndarray) -> np.ndarray:
+    """Number of shingles in each group, one group or two for each shingle; as many groups as keep each number within a byte."""
+    g = max(LEAST_GROUPS, 1 << max(0, len(s) - 1).bit_length())
     while True:
         p = np.bincount((s & np.uint64(g - 1)).astype(np.int64), minlength=g)
         if p.max(initial=0) <= 255:
@@ -122,7 +123,7 @@ def levels(counts: np.ndarray, mean: float) -> np.ndarray:
 
 
 def described(docs: DataFrame, level: np.ndarray, width: int) -> DataFrame:
-    """doc_id, n, two hashes of the set, counts and fine (its points) and lead (the head of its order)."""
+    """doc_id, n, two hashes of the set, fine (its point) and lead (the head of its order)."""
     sent = docs.sparkSession.sparkContext.broadcast(level)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -130,21 +131,20 @@ def described(docs: DataFrame, level: np.ndarray, width: int) -> DataFrame:
         for batch in batches:
             for lo, sets in shingle_sets(batch.column(1), width):
                 n = [len(s) for s in sets]
-                one, two, points, fine, lead = [], [], [], [], []
+                one, two, fine, lead = [], [], [], []
                 for s in sets:
                     m = mix64(s + np.uint64(1))
                     one.append(m.sum(dtype=np.uint64).view(np.int64))
                     two.append(np.bitwise_xor.reduce(mix64(m ^ np.uint64(0xA5A5))).view(np.int64) if len(s) else 0)
-                    points.append(point(s, 4).tobytes())
-                    fine.append(point(s, 1).tobytes())
+                    fine.append(point(s).tobytes())
                     order = np.sort(lv[s >> np.uint64(64 - CELL_BITS)] << np.uint64(59) | (mix64(s) >> np.uint64(5)))
                     lead.append(order[: lead_size(len(s))].view(np.int64))
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column(0).slice(lo, len(sets)), pa.array(n, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(points, pa.binary()), pa.array(fine, pa.binary()), pa.array(lead, pa.list_(pa.int64()))],
-                    ["doc_id", "n", "one", "two", "counts", "fine", "lead"],
+                    [batch.column(0).slice(lo, len(sets)), pa.array(n, pa.int64()), pa.array(one, pa.int64()), pa.array(two, pa.int64()), pa.array(fine, pa.binary()), pa.array(lead, pa.list_(pa.int64()))],
+                    ["doc_id", "n", "one", "two", "fine", "lead"],
                 )
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n long, one long, two long, counts binary, fine binary, lead array<long>")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, "doc_id long, n long, one long, two long, fine binary, lead array<long>")
 
 
 def bitmap(ids: DataFrame, place: Column) -> np.ndarray:
@@ -291,28 +291,41 @@ class CountTree:
 
 
 def block_pairs(ids: np.ndarray, own: np.ndarray, sizes: np.ndarray, roots: np.ndarray, points: np.ndarray) -> Iterator[np.ndarray]:
-    if len(ids) > 1 and (roots != roots[0]).any():
-        raw = [np.frombuffer(x, np.uint8) for x in points]
-        few = min(map(len, raw))
-        points = np.stack([folded(x, few) for x in raw])
-        for i, j in CountTree(points, sizes).pairs(roots):
-            keep = own[i] | own[j]  # a pair of two guests is met in their own block
-            yield np.stack([np.minimum(ids[i], ids[j])[keep], np.maximum(ids[i], ids[j])[keep]])
+    """Pairs of a block that neither the tree nor the fine points rule out. Similar sets have points of one length or of neighbouring ones, so each length is taken with the next."""
+    if len(ids) < 2 or (roots == roots[0]).all():
+        return
+    raw = [np.frombuffer(x, np.uint8) for x in points]
+    length = np.array([len(x) for x in raw])
+    for g in np.unique(length):
+        some = np.flatnonzero((length == g) | (length == 2 * g))
+        if len(some) < 2 or (roots[some] == roots[some[0]]).all():
+            continue
+        fine = np.stack([folded(raw[i], g) for i in some])
+        small = max(LEAST_GROUPS, g // 4)
+        near = length[some] == g
+        for i, j in CountTree(fine.reshape(len(some), -1, small).sum(axis=1), sizes[some]).pairs(roots[some]):
+            keep = (near[i] | near[j]) & (own[some[i]] | own[some[j]])  # a pair of two guests is met in their own block
+            i, j = i[keep], j[keep]
+            for lo in range(0, len(i), 4096):
+                p, q = i[lo : lo + 4096], j[lo : lo + 4096]
+                ok = 7 * np.minimum(fine[p], fine[q]).sum(axis=1) >= 3 * (sizes[some[p]] + sizes[some[q]])
+                x, y = ids[some[p[ok]]], ids[some[q[ok]]]
+                yield np.stack([np.minimum(x, y), np.maximum(x, y)])
 
 
 def tree_candidates(members: DataFrame) -> DataFrame:
-    """Pairs (a, b) of documents of different groups (column root) in one block (token) that the tree can't rule out.
+    """Pairs (a, b) of documents of different groups (column root) in one block (key) that the tree can't rule out.
 
-    A block of more than SMALL_BLOCK is split by bands of sizes; a document is in its own band's part and a guest in the
-    next one's: similar sets are at most a band apart.
+    A large block is split by bands of sizes; a document is in its own band's part and a guest in the next one's: similar
+    sets are at most a band apart.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rest: list[list[np.ndarray]] = []
 
         def done(parts: list[list[np.ndarray]]) -> Iterator[pa.RecordBatch]:
-            token, at, own, ids, sizes, roots, points = (np.concatenate(x) for x in zip(*parts))
-            ends = np.flatnonzero(np.concatenate(([True], (token[1:] != token[:-1]) | (at[1:] != at[:-1]), [True])))
+            key, at, own, ids, sizes, roots, points = (np.concatenate(x) for x in zip(*parts))
+            ends = np.flatnonzero(np.concatenate(([True], (key[1:] != key[:-1]) | (at[1:] != at[:-1]), [True])))
             found = [x for lo, hi in zip(ends, ends[1:]) for x in block_pairs(ids[lo:hi], own[lo:hi], sizes[lo:hi], roots[lo:hi], points[lo:hi])]
             both = np.unique(np.concatenate(found, axis=1), axis=1) if found else np.zeros((2, 0), np.int64)
             yield pa.RecordBatch.from_arrays([pa.array(both[0]), pa.array(both[1])], ["a", "b"])
@@ -345,10 +358,10 @@ def tree_candidates(members: DataFrame) -> DataFrame:
 
     band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(4 / 3))).cast("int")
     at = lambda b, own: F.struct(b.alias("at"), F.lit(own).alias("own"))
-    split = F.when(F.col("size") <= SMALL_BLOCK, F.array(at(F.lit(0), True))).otherwise(F.array(at(band, True), at(band + 1, False)))
+    split = F.when(F.col("big"), F.array(at(band, True), at(band + 1, False))).otherwise(F.array(at(F.lit(-1), True)))
     rows = members.select("*", F.explode(split).alias("x"))
-    rows = rows.select("token", F.col("x.at").alias("at"), F.col("x.own").alias("own"), "doc_id", "n", "root", "counts")
-    return rows.repartition("token", "at").sortWithinPartitions("token", "at").mapInArrow(run, "a long, b long").distinct()
+    rows = rows.select("key", F.col("x.at").alias("at"), F.col("x.own").alias("own"), "doc_id", "n", "root", "fine")
+    return rows.repartition("key", "at").sortWithinPartitions("key", "at").mapInArrow(run, "a long, b long").distinct()
 
 
 def bounded(pairs: DataFrame, points: DataFrame) -> DataFrame:
@@ -388,7 +401,7 @@ def join_groups(docs: DataFrame, width: int = 5) -> DataFrame:
     members = cut(posted.where(F.col("own") >= 1 + F.floor(F.floor((3 * F.col("n") + 3) / 4) / 16)).drop("own"))
     del posted
     release(spark)
-    points = full.select("doc_id", "n", "counts", "fine")
+    points = full.select("doc_id", "n", "fine")
 
     # each document against the first one of each of its blocks
     heads = members.groupBy("token").agg(F.min("doc_id").alias("a"))
@@ -400,11 +413,12 @@ def join_groups(docs: DataFrame, width: int = 5) -> DataFrame:
 
     # blocks that still hold several groups, through the tree
     member = members.join(roots, F.col("doc_id") == F.col("node"), "left").select("token", "doc_id", F.coalesce("root", "doc_id").alias("root"))
-    sets = member.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("size"), F.bit_xor(F.xxhash64("doc_id")).alias("x"), F.bit_xor(F.xxhash64("doc_id", F.lit(1))).alias("y"))
-    # the shingles of one passage make blocks of the same documents: one of them is enough
-    blocks = sets.where("lo <> hi").groupBy("size", "x", "y").agg(F.min("token").alias("token")).select("token", "size")
-    found = tree_candidates(member.join(blocks, "token").join(points.select("doc_id", "n", "counts"), "doc_id"))
-    edges = edges.union(verified(docs, bounded(found, points).join(edges, ["a", "b"], "left_anti"), width))
+    sets = member.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("size"), F.min("doc_id").alias("first"), F.bit_xor(F.xxhash64("doc_id")).alias("x"), F.bit_xor(F.xxhash64("doc_id", F.lit(1))).alias("y"))
+    # the shingles of one passage make blocks of the same documents: one of them is enough; small blocks with the same first document are joined as one
+    blocks = sets.where("lo <> hi").groupBy("size", "x", "y").agg(F.min("token").alias("token"), F.min("first").alias("first")).select("token", (F.col("size") > SMALL_BLOCK).alias("big"), "first")
+    held = member.join(blocks, "token").select(F.when(F.col("big"), F.col("token")).otherwise(F.col("first")).alias("key"), "big", "doc_id", "root").distinct()
+    found = tree_candidates(held.join(points, "doc_id"))
+    edges = edges.union(verified(docs, found.join(edges, ["a", "b"], "left_anti"), width))
     release(spark)
     roots = components(edges)
     release(spark)
