@@ -7,6 +7,7 @@ import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from .objectives import MODELS, clip_col, soft_col
 
@@ -51,13 +52,13 @@ def register(spark: SparkSession) -> list[str]:
     return [*made, "vec_sum", "explode_coords", "block_top"]
 
 
-@F.pandas_udf("array<double>")
+@F.pandas_udf(T.ArrayType(T.DoubleType()))
 def vec_sum(v: pd.Series) -> list:
     """Sum of arrays of one length, as an aggregate."""
     return np.sum(np.stack(v.to_numpy()), axis=0).tolist() if len(v) else []
 
 
-@F.udtf(returnType="row_id long, x double")
+@F.udtf(returnType=T.StructType([T.StructField("row_id", T.LongType()), T.StructField("x", T.DoubleType())]))
 class ExplodeCoords:
     """Non-zero cells of a dense row."""
 
@@ -67,7 +68,7 @@ class ExplodeCoords:
                 yield i, float(x)
 
 
-@F.udtf(returnType="coord_id long, z double")
+@F.udtf(returnType=T.StructType([T.StructField("coord_id", T.LongType()), T.StructField("z", T.DoubleType())]))
 class BlockTop:
     """The m greatest z of each partition: block_top(TABLE(state) PARTITION BY bucket, m)."""
 
