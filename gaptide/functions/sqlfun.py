@@ -70,7 +70,7 @@ class ExplodeCoords:
 
 @F.udtf(returnType=T.StructType([T.StructField("coord_id", T.LongType()), T.StructField("z", T.DoubleType())]))
 class BlockTop:
-    """The m greatest z of each partition: block_top(TABLE(state) PARTITION BY bucket, m)."""
+    """The m greatest z of each partition: block_top(TABLE(state) PARTITION BY (bucket), m)."""
 
     def __init__(self):
         self.rows, self.m = [], 0

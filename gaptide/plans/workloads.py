@@ -71,9 +71,9 @@ def runs_for(schemes, best: float, rounds: int, **options) -> list[dict]:
     return [{"rule": s, "run_id": s, "best": best, "rounds": rounds, "init": "first_pass", **options} for s in schemes]
 
 
-def compare(spark: SparkSession, columns: R.LocalColumns, make, schemes=SCHEMES, rounds: int = 60, tolerance: float = 1e-4, **options) -> DataFrame:
+def compare(spark: SparkSession, columns: R.LocalColumns, make, schemes=SCHEMES, rounds: int = 60, tolerance: float = 1e-4, reference: int = 600, **options) -> DataFrame:
     """Round logs of the schemes with relative suboptimality and modelled time."""
-    best, _, _ = R.optimum(columns, make(), 600, 1e-10)
+    best, _, _ = R.optimum(columns, make(), reference, 1e-10)
     log = R.run_grid(spark, columns, make, runs_for(schemes, best, rounds, tolerance=tolerance, **options))
     timed = M.cost_model(M.relative(log), columns.bytes_per_column, LINK, FAST, SLOW, columns.d, options.get("k", 2))
     # one thread without a fast unit: passes at the slow rate, no copies
@@ -191,7 +191,7 @@ def importance_text(spark: SparkSession, sf_dir: str, rounds: int = 12) -> DataF
     columns, y = text_problem(spark, sf_dir)
     lam = lasso_lam(columns, y)
     n2 = columns.norms()
-    out = summary(compare(spark, columns, lambda: O.LassoBoxed(lam, y), ("gap_memory", "random", "importance_norm"), rounds, k=1))
+    out = summary(compare(spark, columns, lambda: O.LassoBoxed(lam, y), ("gap_memory", "random", "importance_norm"), rounds, reference=60, k=1))
     return out.withColumn("norm_variation", F.lit(float(n2.std() / n2.mean())))
 
 

@@ -34,18 +34,18 @@ def emb_poly2(spark: SparkSession, sf_dir: str) -> DataFrame:
     """2,144 features as coordinates (coord_id, vals over the vectors in order of vec_id), centred and of length 1."""
     rows = table(spark, sf_dir, "embeddings").select("vec_id", F.posexplode(poly2(F.col("embedding").cast("array<double>"))).alias("c", "x"))
     cells = F.array_sort(F.collect_list(F.struct("vec_id", "x")))
-    got = rows.groupBy(F.col("c").cast("long").alias("coord_id")).agg(F.transform(cells, lambda e: e["x"]).alias("vals"))
-    return got.select("coord_id", unit_norm(standardize(F.col("vals"))).alias("vals"))
+    x = F.col("x")
+    got = rows.groupBy(F.col("c").cast("long").alias("coord_id")).agg(cells.alias("cells"), F.avg("x").alias("mean"), F.sqrt(F.sum(x * x) - F.count("x") * F.avg("x") * F.avg("x")).alias("norm"))
+    return got.select("coord_id", F.transform("cells", lambda e: F.when(F.col("norm") > 0, (e["x"] - F.col("mean")) / F.col("norm")).otherwise(0.0)).alias("vals"))
 
 
 def standardize(vals: Column) -> Column:
-    mean = F.aggregate(vals, F.lit(0.0), lambda s, x: s + x) / F.size(vals)
-    return F.transform(vals, lambda x: x - mean)
+    """Less their mean, which is taken once: it is bound before the values are gone through again."""
+    return F.aggregate(vals, F.lit(0.0), lambda s, x: s + x, lambda s: F.transform(vals, lambda x: x - s / F.size(vals)))
 
 
 def unit_norm(vals: Column) -> Column:
-    norm = F.sqrt(F.aggregate(vals, F.lit(0.0), lambda s, x: s + x * x))
-    return F.transform(vals, lambda x: F.when(norm > 0, x / norm).otherwise(0.0))
+    return F.aggregate(vals, F.lit(0.0), lambda s, x: s + x * x, lambda s: F.transform(vals, lambda x: F.when(s > 0, x / F.sqrt(s)).otherwise(0.0)))
 
 
 def add_intercept(vals: Column) -> Column:
