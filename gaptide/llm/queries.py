@@ -11,7 +11,8 @@ from .warc_sql import WARC
 
 
 def op1_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.mix(table(spark, sf_dir, "documents"), mixing.ramps((3, 1, 2)))
+    mixed = mixing.mix(table(spark, sf_dir, "documents"), mixing.ramps((3, 1, 2)))
+    return mixed.select("doc_id", "size", "source_size", "target", "taken", F.round("first_position", 6).alias("first_position"))
 
 
 def op2_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -80,11 +81,11 @@ rounds AS (
               ELSE w * ((SELECT 1.5 * sum(source_size) FROM weighed) - sum(CASE WHEN stopped OR target >= most THEN most ELSE 0 END) OVER ())
                    / sum(CASE WHEN stopped OR target >= most THEN 0 ELSE w END) OVER () END
   FROM rounds WHERE i < 40),
-goal AS (SELECT source, source_size, target, floor(target + 0.5)::BIGINT AS g FROM rounds WHERE i = 40),
-laid AS (SELECT doc_id, size, s.source, coalesce(sum(size) OVER (PARTITION BY s.source ORDER BY k, doc_id, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS at FROM sized s),
-took AS (SELECT l.doc_id, l.size, g.source_size, g.target, g.g, l.at, greatest(0, least(g.g - l.at, l.size))::BIGINT AS one, greatest(0, least(g.g - l.at - g.source_size, l.size))::BIGINT AS two,
-         row_number() OVER (ORDER BY 1) AS ignored FROM laid l JOIN goal g ON l.source IS NOT DISTINCT FROM g.source)
-SELECT doc_id, size, source_size, target, (one + two)::BIGINT AS taken FROM took
+goal AS (SELECT source, source_size, target, floor(target + 0.5)::BIGINT AS g, CASE WHEN r % 3 = 1 THEN -0.5 ELSE 0.5 END::DOUBLE AS sw FROM rounds JOIN (SELECT source AS src, r FROM per) ON src IS NOT DISTINCT FROM source WHERE i = 40),
+laid AS (SELECT doc_id, size, s.source, coalesce(sum(size) OVER (PARTITION BY s.source ORDER BY k, doc_id, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS off0 FROM sized s),
+took AS (SELECT l.doc_id, l.size, g.source_size, g.target, g.g, g.sw, l.off0, greatest(0, least(g.g - l.off0, l.size))::BIGINT AS one, greatest(0, least(g.g - l.off0 - g.source_size, l.size))::BIGINT AS two FROM laid l JOIN goal g ON l.source IS NOT DISTINCT FROM g.source)
+SELECT doc_id, size, source_size, target, (one + two)::BIGINT AS taken,
+       CASE WHEN one > 0 THEN round(least(1, 2 * (off0 / target) / ((1 - sw) + sqrt((1 - sw) * (1 - sw) + 4 * sw * (off0 / target)))), 6) END AS first_position FROM took
 """,
     "op2_jaccard": r"""
 WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS ws FROM documents),
