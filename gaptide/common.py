@@ -69,6 +69,19 @@ def ship(spark: SparkSession) -> None:
     _shipped.add(app)
 
 
+def attach(rows: DataFrame, few: DataFrame, keys: list[str], most: int = 100_000, salts: int = 64) -> DataFrame:
+    """rows joined with a table of one row for each key value, without dealing rows by that key.
+
+    Up to `most` counted rows it is broadcast (a few numbers each, some MB at most); beyond it each of its rows is copied
+    to every salt, so that one value's rows are spread over so many tasks.
+    """
+    few = cut(few)
+    if few.count() <= most:
+        return rows.join(F.broadcast(few), keys)
+    copies = few.withColumn("salt_", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    return rows.withColumn("salt_", F.pmod(F.xxhash64(*rows.columns), F.lit(salts)).cast("int")).join(copies, [*keys, "salt_"]).drop("salt_")
+
+
 def hash32(*parts: Column | str | int) -> Column:
     """32 bits of the MD5 of the parts joined by colons, as a whole number; SQL engines can repeat it."""
     texts = [p.cast("string") if isinstance(p, Column) else F.lit(str(p)) for p in parts]
