@@ -4,9 +4,9 @@ from __future__ import annotations
 
 import numpy as np
 
-from ..common import cut, release, shared_checkpoints, ship, stash, table
+from ..common import attach, cut, release, shared_checkpoints, ship, stash, table
 
-__all__ = ["cut", "release", "shared_checkpoints", "ship", "stash", "table"]
+__all__ = ["attach", "cut", "release", "shared_checkpoints", "ship", "stash", "table"]
 #: ASCII white space that separates words: space, tab, line feed, vertical tab, form feed, return.
 WORD = r"[^\x20\x09-\x0D]+"
 

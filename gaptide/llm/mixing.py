@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .base import WORD, cut
+from .base import WORD, attach, cut
 
 Schedule = Sequence[tuple[float, float]]
 
@@ -87,7 +87,7 @@ def mix(docs: DataFrame, schedules: Sequence[Schedule], total_share: float = 1.5
     plan = plan.withColumn("buckets", F.ceil(F.sqrt("n_docs")).cast("long"))
     name = (F.coalesce(F.col("source"), F.lit("")), F.col("source").isNull())
     plan = plan.select(name[0].alias("sk"), name[1].alias("sn"), "source_size", "turn", "target", "buckets")
-    rows = base.withColumn("sk", name[0]).withColumn("sn", name[1]).join(plan, ["sk", "sn"])
+    rows = attach(base.withColumn("sk", name[0]).withColumn("sn", name[1]), plan, ["sk", "sn"])
     rows = rows.withColumn("bucket", F.shiftright(F.shiftright("key", 28) * F.col("buckets"), 32))
     group = ["sk", "sn", "bucket"]
     starts = rows.groupBy(*group).agg(F.sum("size").alias("bucket_size"))
