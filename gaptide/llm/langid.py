@@ -24,7 +24,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .base import ship, utf8
+from .base import attach, ship, utf8
 
 BITS = 12
 LETTER = regex.compile(r"\p{L}")
@@ -93,7 +93,7 @@ def learn(docs: DataFrame, usable: Column, lang: str = "lang", text: str = "text
     held = docs.where(usable & F.col(lang).isNotNull() & F.col(text).isNotNull()).select(F.col(key).alias("k"), F.col(lang).cast("string").alias("lang"), F.col(text).cast("string").alias("text"))
     counts = held.groupBy("lang").agg(F.count(F.lit(1)).alias("n"))
     draw = F.pmod(F.xxhash64("k"), F.lit(1 << 30)) / float(1 << 30)
-    few = held.join(counts, "lang").where(draw * F.col("n") < 2 * each)
+    few = attach(held, counts, ["lang"]).where(draw * F.col("n") < 2 * each)  # before any row is moved
     few = few.withColumn("draw", draw).withColumn("r", F.row_number().over(W.partitionBy("lang").orderBy("draw", "k"))).where(F.col("r") <= each)
     rows = few.select("lang", "text").mapInArrow(_presence_rows, "lang string, bits binary").collect()
     rows.sort(key=lambda r: (r["lang"], bytes(r["bits"])))
