@@ -42,7 +42,8 @@ def rank_scores(path: str) -> dict[str, int]:
 class PrefixTrie:
     def __init__(self, scores: dict[str, int], most: int = 600_000):
         self.scores, self.most = scores, most
-        self.widest = max(map(len, scores), default=1)
+        # ends of pieces: a piece's score, or none for what is only the end of longer pieces; other strings end the search to the left
+        self.ends: dict[str, int | None] = {p[k:]: None for p in scores for k in range(len(p))} | scores
         self.byte = min(scores.values(), default=0) - SCALE
         self.reset()
 
@@ -51,17 +52,20 @@ class PrefixTrie:
         self.best: list[tuple[int, int]] = [(0, 0)]
         self.counts: dict[str, int] = {}
 
-    def _forward(self, path: str, done: list[tuple[int, int]]) -> tuple[int, int]:
-        """Score and negative piece count of the prefix that ends path, from those of its prefixes."""
-        n, get = len(done), self.scores.get
-        width = len(path[n - 1].encode("utf-8", "surrogatepass"))
-        top = (done[n - 1][0] + self.byte * width, done[n - 1][1] - width)
-        for k in range(max(0, n - self.widest), n):
-            s = get(path[k:n])
+    def _forward(self, path: str, n: int, done: list[tuple[int, int]]) -> tuple[int, int]:
+        """Score and negative piece count of the first n letters, from those of their prefixes."""
+        width = 1 if path[n - 1] < "\x80" else len(path[n - 1].encode("utf-8", "surrogatepass"))
+        score, pieces = done[n - 1]
+        top, ends, k = (score + self.byte * width, pieces - width), self.ends, n - 1
+        while k >= 0:
+            s = ends.get(path[k:n], 1)
+            if s == 1:
+                break
             if s is not None:
                 x = (done[k][0] + s, done[k][1] - 1)
                 if x > top:
                     top = x
+            k -= 1
         return top
 
     def count(self, word: str) -> int:
@@ -69,13 +73,7 @@ class PrefixTrie:
         if len(path) > LONG:
             done = [(0, 0)]
             for n in range(1, len(path) + 1):
-                width = len(path[n - 1].encode())
-                top = (done[n - 1][0] + self.byte * width, done[n - 1][1] - width)
-                for k in range(max(0, n - self.widest), n):
-                    s = self.scores.get(path[k:n])
-                    if s is not None:
-                        top = max(top, (done[k][0] + s, done[k][1] - 1))
-                done.append(top)
+                done.append(self._forward(path, n, done))
             return -done[-1][1]
         node, done = 0, [(0, 0)]
         for i, c in enumerate(path):
@@ -86,7 +84,7 @@ class PrefixTrie:
             if child is None:
                 child = kids[c] = len(self.best)
                 self.next.append(None)
-                self.best.append(self._forward(path[: i + 1], done))
+                self.best.append(self._forward(path, i + 1, done))
             node = child
             done.append(self.best[node])
         return -done[-1][1]
