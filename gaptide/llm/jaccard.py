@@ -37,6 +37,8 @@ LEAST_GROUPS = 16
 CELL_BITS, CELL_BLOCK = 19, 1 << 13
 BITMAP = 1 << 25
 SMALL_BLOCK = 256
+#: Blocks of more documents are dealt in parts, and each pair of parts is a task's work.
+LARGE_BLOCK = 4096
 #: Bytes of text that are hashed at once.
 AT_ONCE = 4 << 20
 
@@ -290,10 +292,11 @@ class CountTree:
                     yield self.order[lo + i], self.order[other[j]]
 
 
-def block_pairs(ids: np.ndarray, own: np.ndarray, sizes: np.ndarray, roots: np.ndarray, points: np.ndarray) -> Iterator[np.ndarray]:
+def block_pairs(ids: np.ndarray, own: np.ndarray, sizes: np.ndarray, roots: np.ndarray, part: np.ndarray, points: np.ndarray) -> Iterator[np.ndarray]:
     """Pairs of a block that neither the tree nor the fine points rule out. Similar sets have points of one length or of neighbouring ones, so each length is taken with the next."""
     if len(ids) < 2 or (roots == roots[0]).all():
         return
+    alone = (part == part[0]).all()
     raw = [np.frombuffer(x, np.uint8) for x in points]
     length = np.array([len(x) for x in raw])
     for g in np.unique(length):
@@ -304,7 +307,8 @@ def block_pairs(ids: np.ndarray, own: np.ndarray, sizes: np.ndarray, roots: np.n
         small = max(LEAST_GROUPS, g // 4)
         near = length[some] == g
         for i, j in CountTree(fine.reshape(len(some), -1, small).sum(axis=1), sizes[some]).pairs(roots[some]):
-            keep = (near[i] | near[j]) & (own[some[i]] | own[some[j]])  # a pair of two guests is met in their own block
+            # a pair of two guests is met in their own block, one of the same part in the part's own cell
+            keep = (near[i] | near[j]) & (own[some[i]] | own[some[j]]) & ((part[some[i]] != part[some[j]]) | alone)
             i, j = i[keep], j[keep]
             for lo in range(0, len(i), 4096):
                 p, q = i[lo : lo + 4096], j[lo : lo + 4096]
@@ -316,7 +320,7 @@ def block_pairs(ids: np.ndarray, own: np.ndarray, sizes: np.ndarray, roots: np.n
 def tree_candidates(members: DataFrame) -> DataFrame:
     """Pairs (a, b) of documents of different groups (column root) in one block (key) that the tree can't rule out.
 
-    A large block is split by bands of sizes; a document is in its own band's part and a guest in the next one's: similar
+    A block of more than SMALL_BLOCK is split by bands of sizes, one of more than LARGE_BLOCK also in pairs of parts; a document is in its own band's part and a guest in the next one's: similar
     sets are at most a band apart.
     """
 
@@ -324,17 +328,17 @@ def tree_candidates(members: DataFrame) -> DataFrame:
         rest: list[list[np.ndarray]] = []
 
         def done(parts: list[list[np.ndarray]]) -> Iterator[pa.RecordBatch]:
-            key, at, own, ids, sizes, roots, points = (np.concatenate(x) for x in zip(*parts))
+            key, at, own, ids, sizes, roots, part, points = (np.concatenate(x) for x in zip(*parts))
             ends = np.flatnonzero(np.concatenate(([True], (key[1:] != key[:-1]) | (at[1:] != at[:-1]), [True])))
-            found = [x for lo, hi in zip(ends, ends[1:]) for x in block_pairs(ids[lo:hi], own[lo:hi], sizes[lo:hi], roots[lo:hi], points[lo:hi])]
+            found = [x for lo, hi in zip(ends, ends[1:]) for x in block_pairs(ids[lo:hi], own[lo:hi], sizes[lo:hi], roots[lo:hi], part[lo:hi], points[lo:hi])]
             both = np.unique(np.concatenate(found, axis=1), axis=1) if found else np.zeros((2, 0), np.int64)
             yield pa.RecordBatch.from_arrays([pa.array(both[0]), pa.array(both[1])], ["a", "b"])
 
         for batch in batches:
             if not batch.num_rows:
                 continue
-            cols = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(6)]
-            cols.append(np.array(batch.column(6).to_pylist(), object))
+            cols = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(7)]
+            cols.append(np.array(batch.column(7).to_pylist(), object))
             # the last block of a batch may go on in the next one
             new = np.flatnonzero((cols[0] != cols[0][-1]) | (cols[1] != cols[1][-1]))
             split = int(new[-1]) + 1 if len(new) else 0
@@ -359,8 +363,13 @@ def tree_candidates(members: DataFrame) -> DataFrame:
     band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(4 / 3))).cast("int")
     at = lambda b, own: F.struct(b.alias("at"), F.lit(own).alias("own"))
     split = F.when(F.col("big"), F.array(at(band, True), at(band + 1, False))).otherwise(F.array(at(F.lit(-1), True)))
-    rows = members.select("*", F.explode(split).alias("x"))
-    rows = rows.select("key", F.col("x.at").alias("at"), F.col("x.own").alias("own"), "doc_id", "n", "root", "fine")
+    rows = members.select("*", F.explode(split).alias("x")).select("key", "size", F.col("x.at").alias("band"), F.col("x.own").alias("own"), "doc_id", "n", "root", "fine")
+    # a large block: a document goes to each pair of parts that its own is in
+    parts = F.greatest(F.lit(1), F.ceil(F.col("size") / LARGE_BLOCK)).cast("long")
+    rows = rows.withColumn("parts", parts).withColumn("part", F.pmod(F.xxhash64("doc_id"), F.col("parts")))
+    rows = rows.withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)))
+    cell = F.least("part", "j") * F.col("parts") + F.greatest("part", "j")
+    rows = rows.select("key", F.shiftleft(F.col("band").cast("long"), 40).bitwiseXOR(cell).alias("at"), "own", "doc_id", "n", "root", "part", "fine")
     return rows.repartition("key", "at").sortWithinPartitions("key", "at").mapInArrow(run, "a long, b long").distinct()
 
 
@@ -415,8 +424,8 @@ def join_groups(docs: DataFrame, width: int = 5) -> DataFrame:
     member = members.join(roots, F.col("doc_id") == F.col("node"), "left").select("token", "doc_id", F.coalesce("root", "doc_id").alias("root"))
     sets = member.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("size"), F.min("doc_id").alias("first"), F.bit_xor(F.xxhash64("doc_id")).alias("x"), F.bit_xor(F.xxhash64("doc_id", F.lit(1))).alias("y"))
     # the shingles of one passage make blocks of the same documents: one of them is enough; small blocks with the same first document are joined as one
-    blocks = sets.where("lo <> hi").groupBy("size", "x", "y").agg(F.min("token").alias("token"), F.min("first").alias("first")).select("token", (F.col("size") > SMALL_BLOCK).alias("big"), "first")
-    held = member.join(blocks, "token").select(F.when(F.col("big"), F.col("token")).otherwise(F.col("first")).alias("key"), "big", "doc_id", "root").distinct()
+    blocks = sets.where("lo <> hi").groupBy("size", "x", "y").agg(F.min("token").alias("token"), F.min("first").alias("first")).select("token", (F.col("size") > SMALL_BLOCK).alias("big"), "first", "size")
+    held = member.join(blocks, "token").select(F.when(F.col("big"), F.col("token")).otherwise(F.col("first")).alias("key"), "big", F.when(F.col("big"), F.col("size")).otherwise(0).alias("size"), "doc_id", "root").distinct()
     found = tree_candidates(held.join(points, "doc_id"))
     edges = edges.union(verified(docs, found.join(edges, ["a", "b"], "left_anti"), width))
     release(spark)

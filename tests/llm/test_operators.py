@@ -105,7 +105,10 @@ def brute_groups(texts: dict) -> dict:
     return {d: (len(sets[d]), find(d)) for d in ids}
 
 
-def test_join_equals_brute_force_on_chains_and_copies(spark):
+@pytest.mark.parametrize("small,large", [(256, 4096), (3, 8)])
+def test_join_equals_brute_force_on_chains_and_copies(spark, monkeypatch, small, large):
+    monkeypatch.setattr(jaccard, "SMALL_BLOCK", small)
+    monkeypatch.setattr(jaccard, "LARGE_BLOCK", large)
     gen = np.random.default_rng(5)
     vocabulary = [f"w{i}" for i in range(4000)]
     texts, k = {}, 0
