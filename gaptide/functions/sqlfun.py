@@ -95,3 +95,9 @@ def gap_arrow(model: str, **constants):
         return pa.array(obj.gap(a.to_numpy(zero_copy_only=False), u.to_numpy(zero_copy_only=False)))
 
     return gap
+
+
+def gap_report(spark: SparkSession, view: str, gap: str) -> None:
+    """A view `<view>_gaps` of coord_id and gap, and `<view>_report` of their number, sum and greatest, from a view with alpha and u and a gap expression such as gap_svm(alpha, u)."""
+    spark.sql(f"CREATE OR REPLACE TEMPORARY VIEW {view}_gaps AS SELECT coord_id, {gap} AS gap FROM {view}")
+    spark.sql(f"CREATE OR REPLACE TEMPORARY VIEW {view}_report AS SELECT count(*) AS n, sum(gap) AS gap_total, max(gap) AS greatest FROM {view}_gaps")

@@ -160,3 +160,24 @@ def test_dots_refuse_what_cannot_be_broadcast(spark, monkeypatch):
 def test_nulls_and_nan_are_left_out(spark):
     rows = spark.createDataFrame([(0, [1.0, float("nan"), 0.0]), (1, None), (2, [])], "coord_id long, vals array<double>")
     assert L.to_coo(rows, "dense").collect() == [(0, 0, 1.0)]
+
+
+def test_models_scores_logs_and_reports(spark, tmp_path):
+    coords = X.emb_samples(spark, DATA).select("coord_id", "vals").cache()
+    _, x = X.matrix(coords)
+    y = np.sign(x[:, 0])
+    r = R.train(R.LocalColumns(x * y[:, None]), O.HingeSvmDual(1.0), rounds=6, init="first_pass")
+    R.save_model(spark, r, str(tmp_path / "m"))
+    np.testing.assert_allclose(R.load_model(spark, str(tmp_path / "m"), len(x)), np.where(np.abs(r.alpha) > 1e-10, r.alpha, 0))
+    targets = spark.createDataFrame([(i, float(v)) for i, v in enumerate(y)], "coord_id long, y double")
+    assert R.score(R.predict(coords, r.v), targets, "classification").first()["accuracy"] > 0.8
+    assert R.score(R.predict(coords, r.v), targets).first()["n"] == len(x)
+    for _ in range(2):
+        R.append_log(spark, r, str(tmp_path / "log"))
+    assert spark.read.parquet(str(tmp_path / "log")).count() == 14
+    sqlfun.register(spark)
+    spark.range(4).selectExpr("id AS coord_id", "0.5D AS alpha", "id / 4D AS u").createOrReplaceTempView("few")
+    sqlfun.gap_report(spark, "few", "gap_svm(alpha, u)")
+    assert spark.table("few_report").first()["n"] == 4
+    doc = X.doc_svm(spark, DATA).first()
+    assert abs(sum(v * v for v in doc["vals"]) - 1) < 1e-9
