@@ -52,20 +52,26 @@ def rounds_to(log: DataFrame, tolerance: float = 1e-4) -> DataFrame:
 
 
 def per_round_ratio(log: DataFrame) -> DataFrame:
-    """Decrease of each round over the suboptimality before it."""
+    """Decrease of each round over the suboptimality before it, and its rate (minus the logarithm of what is left)."""
     before = F.lag("subopt").over(W.partitionBy("run_id").orderBy("round"))
-    return log.withColumn("decrease", 1 - F.col("subopt") / F.when(before > 0, before))
+    left = F.col("subopt") / F.when(before > 0, before)
+    return log.withColumn("decrease", 1 - left).withColumn("rate", -F.log(F.when(left > 0, left)))
 
 
 def observed_speedup(log: DataFrame, scheme: str, reference: str) -> DataFrame:
-    """For each round: the ratio of decreases of two schemes, and the ratio predicted by their shares of the gap."""
+    """For each round: the ratio of decreases of two schemes, that of their rates, and the ratio predicted by their shares of the gap.
+
+    A round's decrease can't be more than all, so where rounds leave little the ratio of decreases is held down; rates aren't.
+    """
     r = per_round_ratio(log).where("round > 0")
-    a, b = (r.where(F.col("scheme") == s).select("round", F.col("decrease").alias(f"d_{t}"), F.col("eta").alias(f"e_{t}")) for s, t in ((scheme, "a"), (reference, "b")))
-    return a.join(b, "round").select("round", (F.col("d_a") / F.when(F.col("d_b") > 0, F.col("d_b"))).alias("observed"), (F.col("e_a") / F.when(F.col("e_b") > 0, F.col("e_b"))).alias("predicted"))
+    a, b = (r.where(F.col("scheme") == s).select("round", F.col("decrease").alias(f"d_{t}"), F.col("rate").alias(f"r_{t}"), F.col("eta").alias(f"e_{t}")) for s, t in ((scheme, "a"), (reference, "b")))
+    over = lambda x: F.col(f"{x}_a") / F.when(F.col(f"{x}_b") > 0, F.col(f"{x}_b"))
+    return a.join(b, "round").select("round", over("d").alias("observed"), over("r").alias("observed_rate"), over("e").alias("predicted"))
 
 
 def mean_deviation(speedups: DataFrame) -> DataFrame:
-    return speedups.agg(F.avg(F.abs(F.col("observed") - F.col("predicted"))).alias("mean_deviation"), F.count("observed").alias("rounds"))
+    off = lambda c: F.avg(F.abs(F.col(c) - F.col("predicted")))
+    return speedups.agg(off("observed").alias("mean_deviation"), off("observed_rate").alias("mean_rate_deviation"), F.count("observed").alias("rounds"))
 
 
 def cost_model(log: DataFrame, bytes_per_column: int, bandwidth: float, fast_rate: float, slow_rate: float, cells: int, passes: int) -> DataFrame:

@@ -106,7 +106,7 @@ def validation_ridge(spark: SparkSession, sf_dir: str, rounds: int = 12) -> Data
 def validation_speedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Observed over predicted speed-up of each round, and their mean deviation."""
     s = cut(M.observed_speedup(validation_ridge(spark, sf_dir), "fresh_gap", "random"))
-    return s.crossJoin(M.mean_deviation(s)).select("round", "observed", "predicted", "mean_deviation")
+    return s.crossJoin(M.mean_deviation(s)).select("round", "observed", "observed_rate", "predicted", "mean_deviation", "mean_rate_deviation")
 
 
 def sparse_share(spark: SparkSession, sf_dir: str, rounds: int = 8) -> DataFrame:
