@@ -7,6 +7,21 @@ import numpy as np
 from ..common import attach, cut, release, shared_checkpoints, ship, stash, table
 
 __all__ = ["attach", "cut", "release", "shared_checkpoints", "ship", "stash", "table"]
+#: What operators remember in a worker process, and how each forgets it.
+_kept: dict[str, object] = {}
+
+
+def keep(name: str, forget) -> None:
+    _kept[name] = forget
+
+
+def forget_others(name: str = "") -> None:
+    """Empty what other operators have kept in this worker: stages of one application share its memory."""
+    for other, forget in _kept.items():
+        if other != name:
+            forget()
+
+
 #: ASCII white space that separates words: space, tab, line feed, vertical tab, form feed, return.
 WORD = r"[^\x20\x09-\x0D]+"
 

@@ -21,7 +21,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import ship
+from .base import forget_others, keep, ship
 
 #: What the pattern language of the tokenizer file calls white space.
 SPACE = "\\x09-\\x0D\\x20\\x85\\xA0\\u1680\\u2000-\\u200A\\u2028\\u2029\\u202F\\u205F\\u3000"
@@ -179,7 +179,8 @@ _loaded: dict[str, ForcedBoundaryBPE] = {}
 def coder(path: str) -> ForcedBoundaryBPE:
     """One coder for each worker process, with its bounded memory of chunks."""
     if path not in _loaded:
-        _loaded[path] = ForcedBoundaryBPE(path)
+        _loaded[path] = c = ForcedBoundaryBPE(path)
+        keep(f"bpe {path}", lambda: (c.chunks.clear(), c.fragments.clear()))
     return _loaded[path]
 
 
@@ -190,6 +191,7 @@ def round_trip(docs: DataFrame, path: str, key: str = "doc_id", text: str = "tex
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         c = coder(path)
+        forget_others(f"bpe {path}")
         for batch in batches:
             for at in range(0, batch.num_rows, rows):
                 part = batch.slice(at, rows)

@@ -31,7 +31,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .base import cut, mix64, release, shingles, ship, utf8, words
+from .base import cut, forget_others, mix64, release, shingles, ship, utf8, words
 
 LEAST_GROUPS = 16
 CELL_BITS, CELL_BLOCK = 19, 1 << 13
@@ -40,7 +40,7 @@ SMALL_BLOCK = 256
 #: Blocks of more documents are dealt in parts, and each pair of parts is a task's work.
 LARGE_BLOCK = 4096
 #: Bytes of text that are hashed at once.
-AT_ONCE = 4 << 20
+AT_ONCE = 1 << 20
 
 
 def point(s: np.ndarray) -> np.ndarray:
@@ -78,6 +78,7 @@ def parts_of(offsets: np.ndarray) -> Iterator[tuple[int, int]]:
 
 def shingle_sets(column, width: int) -> Iterator[tuple[int, list[np.ndarray]]]:
     """First row and the sorted distinct shingle hashes of each row, a range of rows at a time."""
+    forget_others()
     raw, offsets = utf8(column)
     for lo, hi in parts_of(offsets):
         own = offsets[lo : hi + 1] - offsets[lo]

@@ -24,7 +24,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .base import attach, ship, utf8
+from .base import attach, forget_others, ship, utf8
 
 BITS = 12
 LETTER = regex.compile(r"\p{L}")
@@ -112,6 +112,7 @@ def predict(docs: DataFrame, model: KernelModel, text: str = "text", rows: int =
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         m = sent.value
+        forget_others()
         for batch in batches:
             for at in range(0, batch.num_rows, rows):
                 part = batch.slice(at, rows)

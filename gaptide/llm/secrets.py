@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import ship
+from .base import forget_others, ship
 
 #: Shapes of credentials, the value in the group.
 RULES = {
@@ -206,6 +206,7 @@ def scan(docs: DataFrame, forest: Forest | None = None, threshold: float = 0.5,
     kind = docs.schema[key].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget_others()
         for batch in batches:
             for at in range(0, batch.num_rows, 512):
                 part = batch.slice(at, 512)
@@ -228,6 +229,7 @@ def redact(docs: DataFrame, forest: Forest | None = None, threshold: float = 0.5
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in body.schema.fields)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget_others()
         for batch in batches:
             for at in range(0, batch.num_rows, 512):
                 part = batch.slice(at, 512)

@@ -21,7 +21,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .base import ship
+from .base import forget_others, keep, ship
 
 MARK = "▁"
 LONG = 256
@@ -102,7 +102,8 @@ _tries: dict[str, PrefixTrie] = {}
 
 def trie(path: str) -> PrefixTrie:
     if path not in _tries:
-        _tries[path] = PrefixTrie(rank_scores(path))
+        _tries[path] = t = PrefixTrie(rank_scores(path))
+        keep(f"trie {path}", t.reset)
     return _tries[path]
 
 
@@ -119,6 +120,7 @@ def count_tokens(docs: DataFrame, path: str, key: str = "doc_id", text: str = "t
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         t = trie(path)
+        forget_others(f"trie {path}")
         for batch in batches:
             for at in range(0, batch.num_rows, rows):
                 part = batch.slice(at, rows)
