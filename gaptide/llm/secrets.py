@@ -5,7 +5,8 @@ cover, signs of paths and addresses, and the words beside it. Labelled findings
 generator of credentials and of what is taken for them (commit hashes, identifiers, placeholders, paths, encoded data).
 
 Cases: null or empty text has no candidates; overlapping proposals of several rules count once (the first rule's, at the
-earliest place); long texts are read whole; repeated rows are scanned alike; an empty table gives an empty table.
+earliest place), but a long assigned value that the forest refuses is searched for others within it; values and texts of any
+length are read whole; repeated rows are scanned alike; an empty table gives an empty table.
 """
 
 from __future__ import annotations
@@ -28,22 +29,24 @@ RULES = {
     "private_key": r"(-----BEGIN (?:[A-Z]+ )?PRIVATE KEY-----[A-Za-z0-9+/=\s]{16,}?-----END (?:[A-Z]+ )?PRIVATE KEY-----)",
     "cloud_key_id": r"\b((?:AKIA|ASIA)[0-9A-Z]{16})\b",
     "prefixed": r"\b((?:ghp|gho|ghs)_[A-Za-z0-9]{36}|(?:sk|pk)_(?:live|test)_[A-Za-z0-9]{16,}|xox[abp]-[A-Za-z0-9-]{10,}|AIza[A-Za-z0-9_-]{35}|eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]*)",
-    "assigned": r"(?:[Kk]ey|KEY|[Tt]oken|TOKEN|[Ss]ecret|SECRET|[Pp]assword|PASSWORD|[Pp]asswd|pwd|[Cc]redential)[\"']?[ \t]{0,3}[:=][ \t]{0,3}[\"']?([^\s\"'<>,;]{8,256})",
-    "opaque": r"(?<![A-Za-z0-9+/_=-])((?=[A-Za-z]*[0-9])[A-Za-z0-9+/_=-]{24,256})(?![A-Za-z0-9+/_=-])",
+    "assigned": r"(?:[Kk]ey|KEY|[Tt]oken|TOKEN|[Ss]ecret|SECRET|[Pp]assword|PASSWORD|[Pp]asswd|pwd|[Cc]redential)[\"']?[ \t]{0,3}[:=][ \t]{0,3}[\"']?([^\s\"'<>,;]{8,})",
+    "opaque": r"(?<![A-Za-z0-9+/_=-])((?=[A-Za-z+/_=-]*[0-9])[A-Za-z0-9+/_=-]{24,})(?![A-Za-z0-9+/_=-])",
 }
+#: A refused assigned value longer than this (text without white space, mostly) is searched for candidates within it.
+LONG_VALUE = 256
 #: Common words of code and prose.
 DICTIONARY = "about access account admin after again api app application array auth back base bin block body build button cache call change char class client cloud code color column com commit config connect content context copy core count create data date default delete demo dev document down download dummy edit email end entry error event example fake file filter find first font form format from function get group handle hash have head header height help home host html http icon image import index info input insert int item java json key label lang last layout left length level lib license line link list load local log login main make map master max menu message method min mock mode model module name net new next node none null number object open option order org other output page param parse part pass password path place placeholder play plugin point post price print private process product profile project property public query read redacted release remove report request resource response result return right root row sample save schema script search secret select server service session set size source sql src start state static status string style submit system table tag target task template test text that the this time title token tool tree true type update upload url user utils value var version video view web when width window with word work write www xxx your".split()
 GOOD = "key token secret password passwd pwd auth credential bearer private access login api".split()
 BAD = "commit sha hash checksum digest md5 revision example sample dummy test fixture placeholder image png version uuid build id href src file path".split()
 
 
-def proposals(text: str) -> list[tuple[int, int, str]]:
+def proposals(text: str, begin: int = 0, stop: int | None = None) -> list[tuple[int, int, str]]:
     """Start, end and rule of candidates, apart from one another."""
-    found = []
+    found, stop = [], len(text) if stop is None else stop
     for rank, (rule, pattern) in enumerate(_COMPILED.items()):
         if rule == "private_key" and "PRIVATE KEY-----" not in text or rule == "assigned" and "=" not in text and ":" not in text:
             continue
-        found += [(m.start(1), rank, m.end(1), rule) for m in pattern.finditer(text)]
+        found += [(m.start(1), rank, m.end(1), rule) for m in pattern.finditer(text, begin, stop)]
     out, last = [], -1
     for start, _, end, rule in sorted(found):
         if start >= last:
@@ -199,6 +202,16 @@ def train(findings: Sequence[tuple[str, int]] | None = None) -> Forest:
     return grow(np.array(rows, np.float64), np.array(y, np.float64))
 
 
+def judged(texts: Sequence[str | None], forest: Forest, threshold: float) -> list[tuple[int, int, int, str, float]]:
+    """Index of the text, start, end, rule and score of all candidates, in order; accepted ones are apart from one another."""
+    todo, out = [(i, p) for i, t in enumerate(texts) if t for p in proposals(t)], []
+    while todo:
+        score = forest.predict(np.array([features(texts[i], *p) for i, p in todo]))
+        out += [(i, *p, float(s)) for (i, p), s in zip(todo, score)]
+        todo = [(i, q) for (i, p), s in zip(todo, score) if s < threshold and p[2] == "assigned" and p[1] - p[0] > LONG_VALUE for q in proposals(texts[i], p[0] + 1, p[1])]
+    return sorted(out)
+
+
 def scan(docs: DataFrame, forest: Forest | None = None, threshold: float = 0.5, key: str = "doc_id", text: str = "text") -> DataFrame:
     """key, start and length (code points), rule, value, score and is_secret: a row for each candidate."""
     ship(docs.sparkSession)
@@ -210,10 +223,11 @@ def scan(docs: DataFrame, forest: Forest | None = None, threshold: float = 0.5,
         for batch in batches:
             for at in range(0, batch.num_rows, 512):
                 part = batch.slice(at, 512)
-                hits = [(i, *p, t[p[0] : p[1]], features(t, *p)) for i, t in enumerate(part.column(1).to_pylist()) if t for p in proposals(t)]
-                score = sent.value.predict(np.array([h[5] for h in hits])) if hits else np.zeros(0)
+                texts = part.column(1).to_pylist()
+                hits = judged(texts, sent.value, threshold)
+                score = np.array([h[4] for h in hits], float)
                 yield pa.RecordBatch.from_arrays(
-                    [part.column(0).take(pa.array([h[0] for h in hits], pa.int64())), pa.array([h[1] for h in hits], pa.int64()), pa.array([h[2] - h[1] for h in hits], pa.int64()), pa.array([h[3] for h in hits], pa.string()), pa.array([h[4] for h in hits], pa.string()), pa.array(score, pa.float64()), pa.array(score >= threshold, pa.bool_())],
+                    [part.column(0).take(pa.array([h[0] for h in hits], pa.int64())), pa.array([h[1] for h in hits], pa.int64()), pa.array([h[2] - h[1] for h in hits], pa.int64()), pa.array([h[3] for h in hits], pa.string()), pa.array([texts[h[0]][h[1] : h[2]] for h in hits], pa.string()), pa.array(score, pa.float64()), pa.array(score >= threshold, pa.bool_())],
                     ["key", "start", "length", "rule", "value", "score", "is_secret"],
                 )
 
@@ -233,15 +247,10 @@ def redact(docs: DataFrame, forest: Forest | None = None, threshold: float = 0.5
         for batch in batches:
             for at in range(0, batch.num_rows, 512):
                 part = batch.slice(at, 512)
-                out = []
-                for t in part.column(place).to_pylist():
-                    spans = proposals(t) if t else []
-                    if spans:
-                        score = sent.value.predict(np.array([features(t, *p) for p in spans]))
-                        for (start, end, _), s in reversed(list(zip(spans, score))):
-                            if s >= threshold:
-                                t = t[:start] + mark + t[end:]
-                    out.append(t)
+                out = part.column(place).to_pylist()
+                for i, start, end, _, score in reversed(judged(out, sent.value, threshold)):
+                    if score >= threshold:
+                        out[i] = out[i][:start] + mark + out[i][end:]
                 yield pa.RecordBatch.from_arrays([pa.array(out, pa.string()) if i == place else c for i, c in enumerate(part.columns)], names)
 
     return body.mapInArrow(run, schema)
