@@ -2,9 +2,14 @@
 
 A document is a multiset of paragraphs: lines, and within a line sentences. Each paragraph is hashed to a wide vector of
 whole numbers; the document's fingerprint is their number and their sum, lane by lane, modulo a power of two. So the
-order of paragraphs doesn't matter, and adding or taking away a paragraph adds or subtracts its vector. Differences of
-two sums are sums over the paragraphs that only one of them has, so their mean square estimates how many those are:
-likeness is 1 minus that number over the paragraphs of both, from 0 to 1.
+order of paragraphs doesn't matter, and adding or taking away a paragraph adds or subtracts its vector.
+
+A paragraph that comes m times weighs m * m in a mean square of such sums. So a second sum goes with them, which makes the
+occurrences of a paragraph different ones: for the k-th repetition, the lanes of the paragraph and k, less those of the
+paragraph. Differences of the two sums together are sums over the occurrences that only one document has, so their mean
+square estimates how many those are: likeness is 1 minus that number over the paragraphs of both, from 0 to 1.
+Fingerprints (number and first sums) of any documents may be added; second sums only of documents without a paragraph in
+common, as otherwise repetitions across the two weigh as squares.
 
 Plans are DataFrame functions only: a paragraph's lanes are hashes of two 64-bit hashes of it.
 
@@ -38,15 +43,47 @@ def paragraphs(text: Column) -> Column:
     return F.filter(F.split(marked, "\n"), lambda p: p != "")
 
 
+def _bound(value: Column, body) -> Column:
+    """body of the value, which is made once."""
+    return F.element_at(F.transform(F.array(value), body), 1)
+
+
+def _words(c: Column, i: Column) -> Column:
+    return F.xxhash64(c, i).bitwiseAND(F.lit(FIELDS))
+
+
+def _repeats(hashes: Column) -> Column:
+    """An array of (hash, k) for each k-th repetition, k from 1, of the hashes that come more than once."""
+
+    def runs(s: Column) -> Column:
+        at = F.sequence(F.lit(0), F.size(s) - 1)
+        like = lambda i, j: F.coalesce(F.get(s, i) == F.get(s, j), F.lit(False))
+        heads, tails = F.filter(at, lambda i: like(i, i + 1) & ~like(i, i - 1)), F.filter(at, lambda i: like(i, i - 1) & ~like(i, i + 1))
+        return F.flatten(F.zip_with(heads, tails, lambda h, t: F.transform(F.sequence(F.lit(1), t - h), lambda k: F.struct(F.get(s, h).alias("h"), k.cast("long").alias("k")))))
+
+    none = F.array().cast("array<struct<h:bigint,k:bigint>>")
+    return F.when(F.size(F.array_distinct(hashes)) == F.size(hashes), none).otherwise(_bound(F.sort_array(hashes), runs))
+
+
 def vector(text: Column) -> Column:
-    """Number of paragraphs, the sum of a plain hash of each, then the words of two lanes."""
+    """Number of paragraphs, the sum of a plain hash of each, then the words of two lanes, then as many words that tell repetitions apart."""
     mask = F.lit(MASK)
     seeds = F.array(*[F.lit(i).cast("long") for i in range(1, WORDS + 1)])
     parts = paragraphs(text)
     zero = F.array(*[F.lit(0).cast("long")] * WORDS)
-    lanes = F.aggregate(F.transform(parts, lambda p: F.xxhash64(p)), zero, lambda acc, c: F.zip_with(acc, seeds, lambda s, i: s.bitwiseAND(mask) + F.xxhash64(c, i).bitwiseAND(F.lit(FIELDS))))
+
+    def sums(hashes: Column) -> Column:
+        lanes = F.aggregate(hashes, zero, lambda acc, c: F.zip_with(acc, seeds, lambda s, i: s.bitwiseAND(mask) + _words(c, i)))
+        apart = F.aggregate(_repeats(hashes), zero, lambda acc, r: F.zip_with(acc, seeds, lambda s, i: s.bitwiseAND(mask) + _words(F.xxhash64(r["h"], r["k"]), i) - _words(r["h"], i)))
+        return F.concat(lanes, apart)
+
     plain = F.aggregate(parts, F.lit(0).cast("long"), lambda s, p: s.bitwiseAND(mask) + F.xxhash64(F.lit(WORDS), p).bitwiseAND(mask))
-    return F.transform(F.concat(F.array(F.size(parts).cast("long"), plain), lanes), lambda x: x.bitwiseAND(mask))
+    return F.transform(F.concat(F.array(F.size(parts).cast("long"), plain), _bound(F.transform(parts, lambda p: F.xxhash64(p)), sums)), lambda x: x.bitwiseAND(mask))
+
+
+def fingerprint(v: Column) -> Column:
+    """The words of a vector that any two documents' may be added by."""
+    return F.slice(v, 1, 2 + WORDS)
 
 
 def printed(v: Column) -> Column:
@@ -80,7 +117,8 @@ def likeness(a: Column, b: Column) -> Column:
         l, h = (2 * low - centre).cast("double") / 2, (2 * high - centre).cast("double") / 2
         return l * l + h * h
 
-    square = F.aggregate(F.zip_with(F.slice(a, 3, WORDS), F.slice(b, 3, WORDS), squares), F.lit(0.0), lambda s, x: s + x)
+    told = lambda v: F.zip_with(F.slice(v, 3, WORDS), F.slice(v, 3 + WORDS, WORDS), lambda x, y: x + y)
+    square = F.aggregate(F.zip_with(told(a), told(b), squares), F.lit(0.0), lambda s, x: s + x)
     apart = square / (LANES * SPREAD)
     return F.when(both == 0, F.lit(1.0)).otherwise(F.greatest(F.lit(0.0), F.least(F.lit(1.0), 1.0 - apart / both)))
 
@@ -136,4 +174,4 @@ def edited_likeness(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
     edited = F.concat(F.substring(F.col("text"), F.lit(1), n - third), F.substring(F.col("next_text"), F.lit(1), third))
     rows = rows.select(key, n.cast("long").alias("n_chars"), edited.alias("edited"), "vector", "next_vector").withColumn("edited_vector", vector(F.col("edited")))
     v, e, x = (F.col(c) for c in ("vector", "edited_vector", "next_vector"))
-    return rows.select(key, "n_chars", "edited", printed(F.col("vector")).alias("fingerprint"), printed(F.col("edited_vector")).alias("edited_fingerprint"), likeness(v, e).alias("near_edited"), likeness(v, x).alias("near_next"))
+    return rows.select(key, "n_chars", "edited", printed(fingerprint(F.col("vector"))).alias("fingerprint"), printed(fingerprint(F.col("edited_vector"))).alias("edited_fingerprint"), likeness(v, e).alias("near_edited"), likeness(v, x).alias("near_next"))
