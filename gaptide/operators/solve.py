@@ -23,6 +23,60 @@ class Solved:
     seconds: float
 
 
+class SparseRows:
+    """Rows of a matrix of which only entries other than zero are held; it takes an array's place in passes."""
+
+    __array_ufunc__ = None  # an array times these rows is their own product
+
+    def __init__(self, ptr: np.ndarray, idx: np.ndarray, vals: np.ndarray, d: int):
+        self.ptr, self.idx, self.vals, self.shape = ptr, idx, vals, (len(ptr) - 1, d)
+        self.nbytes = ptr.nbytes + idx.nbytes + vals.nbytes
+
+    @classmethod
+    def of(cls, row: np.ndarray, column: np.ndarray, vals: np.ndarray, n: int, d: int) -> SparseRows:
+        order = np.lexsort((column, row))
+        return cls(np.concatenate(([0], np.cumsum(np.bincount(row, minlength=n)))), column[order].astype(np.int32), vals[order].astype(np.float64), d)
+
+    def __len__(self) -> int:
+        return self.shape[0]
+
+    def __getitem__(self, at: np.ndarray) -> SparseRows:
+        at = np.flatnonzero(at) if at.dtype == bool else at
+        if len(at) == 1:
+            a, b = self.ptr[at[0]], self.ptr[at[0] + 1]
+            return SparseRows(np.array([0, b - a]), self.idx[a:b], self.vals[a:b], self.shape[1])
+        count = self.ptr[at + 1] - self.ptr[at]
+        ptr = np.concatenate(([0], np.cumsum(count)))
+        take = np.repeat(self.ptr[at] - ptr[:-1], count) + np.arange(ptr[-1])
+        return SparseRows(ptr, self.idx[take], self.vals[take], self.shape[1])
+
+    def __matmul__(self, w: np.ndarray) -> np.ndarray:
+        if len(self) == 1:
+            return np.array([self.vals @ w[self.idx]])
+        return np.bincount(self._owner(), self.vals * w[self.idx], len(self))
+
+    def __rmatmul__(self, a: np.ndarray) -> np.ndarray:
+        return np.bincount(self.idx, np.repeat(a, np.diff(self.ptr)) * self.vals, self.shape[1])
+
+    def _owner(self) -> np.ndarray:
+        return np.repeat(np.arange(len(self)), np.diff(self.ptr))
+
+    def norms(self) -> np.ndarray:
+        return np.bincount(self._owner(), self.vals * self.vals, len(self))
+
+    def joined(self, other: SparseRows) -> SparseRows:
+        return SparseRows(np.concatenate((self.ptr, self.ptr[-1] + other.ptr[1:])), np.concatenate((self.idx, other.idx)), np.concatenate((self.vals, other.vals)), self.shape[1])
+
+
+def squares(x: np.ndarray | SparseRows) -> np.ndarray:
+    """Squared length of each row."""
+    return x.norms() if isinstance(x, SparseRows) else np.einsum("ij,ij->i", x, x)
+
+
+def stacked(a: np.ndarray | SparseRows, b: np.ndarray | SparseRows) -> np.ndarray | SparseRows:
+    return a.joined(b) if isinstance(a, SparseRows) else np.concatenate((a, b))
+
+
 def op_norm_sq(x: np.ndarray, iterations: int = 100, seed: int = 0) -> float:
     """Squared operator norm of the block by power iteration."""
     if not x.size:
@@ -72,7 +126,7 @@ def passes(x: np.ndarray, alpha: np.ndarray, v: np.ndarray, obj: Objective, y: n
     """
     began = time.perf_counter()
     rng = np.random.default_rng(seed)
-    m, q = len(x), obj.smooth * sigma * np.einsum("ij,ij->i", x, x)
+    m, q = len(x), obj.smooth * sigma * squares(x)
     a, dv, target = alpha.copy(), np.zeros_like(v), np.broadcast_to(np.asarray(y, float), (m,))
     exact_gradient = not (obj.quadratic or model)
     w, done = obj.grad(v), 0

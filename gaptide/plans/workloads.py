@@ -20,7 +20,7 @@ from ..operators import metrics as M
 from ..operators import theory as T
 from ..operators import train as R
 from ..operators.layout import ROUND_LOG
-from ..operators.solve import op_norm_sq
+from ..operators.solve import SparseRows, op_norm_sq
 from ..sources import features as X
 
 #: Schemes of the comparisons: the method, its oracle, and what it is held against.
@@ -53,18 +53,20 @@ def svm_problem(spark: SparkSession, sf_dir: str) -> R.LocalColumns:
     return R.LocalColumns(x)
 
 
-def text_problem(spark: SparkSession, sf_dir: str) -> tuple[R.LocalColumns, np.ndarray]:
-    """Tokens of labelled documents as coordinates (logarithms of counts), quality as -1 and 1 for each document."""
+def text_problem(spark: SparkSession, sf_dir: str, dense_bytes: int = 256 << 20) -> tuple[R.LocalColumns, np.ndarray]:
+    """Tokens of labelled documents as coordinates (logarithms of counts), quality as -1 and 1 for each document. Sparse rows if a dense matrix were over dense_bytes."""
     coo = X.doc_tf(spark, sf_dir)
     labels = table(spark, sf_dir, "labels", "doc_id", "quality").orderBy("doc_id").toPandas()
     rows = {int(d): i for i, d in enumerate(labels["doc_id"])}
     t = coo.select("coord_id", "row_id", "x").toArrow()
     n = int(t["coord_id"].to_numpy().max()) + 1
-    if n * len(rows) * 8 > 256 << 20:
-        raise ValueError("use the sparse layout")
+    at = t["coord_id"].to_numpy(), np.array([rows[int(r)] for r in t["row_id"].to_numpy()])
+    vals, y = np.log1p(t["x"].to_numpy()), np.where(labels["quality"].to_numpy() == 1, 1.0, -1.0)
+    if n * len(rows) * 8 > dense_bytes:
+        return R.SparseColumns(SparseRows.of(*at, vals, n, len(rows))), y
     x = np.zeros((n, len(rows)))
-    x[t["coord_id"].to_numpy(), [rows[int(r)] for r in t["row_id"].to_numpy()]] = np.log1p(t["x"].to_numpy())
-    return R.LocalColumns(x), np.where(labels["quality"].to_numpy() == 1, 1.0, -1.0)
+    x[at] = vals
+    return R.LocalColumns(x), y
 
 
 def runs_for(schemes, best: float, rounds: int, **options) -> list[dict]:
@@ -305,6 +307,7 @@ def normal_equations(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 
+
 def all_models(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every model trained by gap memory: objective and certificate at the start and the end."""
     columns, b = poly2_problem(spark, sf_dir)
