@@ -69,6 +69,14 @@ def join_gram_block(spark, sf_dir):
     return a.join(b, "coord_id").where("i <= j").groupBy("i", "j").agg(r6(F.sum(c("xi") * c("xj"))).alias("x"))
 
 
+@query("WITH e AS (SELECT vec_id, unnest(generate_series(0, 63)) AS c, unnest(embedding)::DOUBLE AS x FROM embeddings) SELECT a.c AS i, b.c AS j, round(sum(a.x * b.x), 6) + 0.0 AS x FROM e a JOIN e b USING (vec_id) WHERE a.c <= b.c GROUP BY 1, 2")
+def join_gram_features(spark, sf_dir):
+    """The Gram matrix of all features over all rows: pairs meet by row, and only sums of pairs leave a partition."""
+    e = X.emb_cells(spark, sf_dir)
+    a, b = e.select("row_id", c("coord_id").alias("i"), c("x").alias("xi")), e.select("row_id", c("coord_id").alias("j"), c("x").alias("xj"))
+    return a.join(b, "row_id").where("i <= j").groupBy("i", "j").agg(r6(F.sum(c("xi") * c("xj"))).alias("x"))
+
+
 @query("WITH e AS (SELECT event_id, user_id, ts, value FROM events), p AS (SELECT event_id, user_id, ts FROM events WHERE event_type = 'purchase') SELECT p.event_id, (SELECT arg_max(e.event_id, (e.ts, e.event_id)) FROM e WHERE e.user_id = p.user_id AND (e.ts < p.ts)) AS before_id FROM p")
 def asof_last_event(spark, sf_dir):
     """The newest event of the user before each purchase: one sort by user and time, no range join."""
@@ -139,6 +147,12 @@ def unpivot_lineitem(spark, sf_dir):
     return line.unpivot(["l_orderkey", "l_linenumber"], ["l_quantity", "l_discount", "l_tax"], "name", "x").groupBy("l_orderkey", "name").agg(r6(F.sum("x")).alias("x"))
 
 
+@query("SELECT l_orderkey, name, round(sum(x), 6) AS x FROM (UNPIVOT (SELECT l_orderkey, l_linenumber, l_quantity, l_discount, l_tax FROM lineitem) ON l_quantity, l_discount, l_tax INTO NAME name VALUE x) GROUP BY 1, 2")
+def unpivot_lineitem_whole(spark, sf_dir):
+    line = table(spark, sf_dir, "lineitem", "l_orderkey", "l_linenumber", "l_quantity", "l_discount", "l_tax")
+    return line.unpivot(["l_orderkey", "l_linenumber"], ["l_quantity", "l_discount", "l_tax"], "name", "x").groupBy("l_orderkey", "name").agg(r6(F.sum("x")).alias("x"))
+
+
 @query("SELECT event_id, row_number() OVER w AS rn, rank() OVER (PARTITION BY user_id ORDER BY event_type) AS rk, dense_rank() OVER (PARTITION BY user_id ORDER BY event_type) AS dr, ntile(4) OVER w AS quarter, round(cume_dist() OVER w, 6) AS cd FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id)")
 def window_ranks(spark, sf_dir):
     w, t = W.partitionBy("user_id").orderBy("event_id"), W.partitionBy("user_id").orderBy("event_type")

@@ -306,7 +306,12 @@ def normal_equations(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(i, float(a)) for i, a in enumerate(r.alpha)], "coord_id long, alpha double").select("coord_id", F.round("alpha", 6).alias("alpha"))
 
 
-
+def normal_equations_whole(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Ridge on all features over all rows, trained by passes over all of them until the certificate is next to nothing."""
+    ids, x = X.matrix(X.emb_samples(spark, sf_dir).select("coord_id", "vals"))
+    b = np.array([unit_py("b", int(r)) * 2 - 1 for r in ids])
+    r = R.train(R.LocalColumns(x.T), O.RidgePrimal(0.5, b), "sequential", fraction=1.0, rounds=500, trace=True, gap_tolerance=1e-16)
+    return spark.createDataFrame([(i, float(a)) for i, a in enumerate(r.alpha)], "coord_id long, alpha double").select("coord_id", F.round("alpha", 6).alias("alpha"))
 
 def all_models(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every model trained by gap memory: objective and certificate at the start and the end."""
@@ -327,7 +332,7 @@ def all_models(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     f"run_{f.__name__}": f
-    for f in (validation_ridge, validation_speedup, sparse_share, staleness_sweep, swap_series, selection_fidelity, lasso_schemes, svm_schemes, ridge_schemes, related_schemes, importance_dense, importance_text, logistic_text, passes_tuning, svm_cross_validation, support_tuning, bounds_by_round, spark_lasso, overlapped_lasso, wide_lasso, tiers, workers, star_ridge, normal_equations, all_models)
+    for f in (validation_ridge, validation_speedup, sparse_share, staleness_sweep, swap_series, selection_fidelity, lasso_schemes, svm_schemes, ridge_schemes, related_schemes, importance_dense, importance_text, logistic_text, passes_tuning, svm_cross_validation, support_tuning, bounds_by_round, spark_lasso, overlapped_lasso, wide_lasso, tiers, workers, star_ridge, normal_equations, normal_equations_whole, all_models)
 }
 QUERIES["run_workers_add"] = lambda spark, sf_dir: workers(spark, sf_dir, "add")
 
