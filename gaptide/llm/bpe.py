@@ -5,7 +5,7 @@ them; each fragment is encoded alone and the results are put together. The vocab
 
 Cases: null text is the empty text (no ids, empty decoded text); an empty table gives an empty table; repeated rows give
 repeated rows; a text may be of any length (long fragments merge by a heap); columns besides the two named pass through
-the query untouched because only those two are read.
+the query untouched because only those two are read; a null key is a key like any other.
 """
 
 from __future__ import annotations
@@ -42,7 +42,7 @@ def byte_letters() -> list[str]:
 
 
 class Words(dict):
-    """Encoded chunks, kept up to a bound and then forgotten."""
+    """Encoded chunks, kept up to a bound and then forgotten; long ones are never kept. A key is a text, or a pair of a text and a mark."""
 
     def __init__(self, make, most: int):
         super().__init__()
@@ -50,7 +50,7 @@ class Words(dict):
 
     def __missing__(self, key):
         value = self.make(key)
-        if len(key) <= LONG:
+        if len(key if isinstance(key, str) else key[0]) <= LONG:
             if len(self) >= self.most:
                 self.clear()
             self[key] = value
