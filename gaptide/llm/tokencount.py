@@ -7,8 +7,9 @@ of the best path to it, so a shared prefix is scored once; the node where a pre-
 The piece list is a file of a public tokenizer, given as a parameter; scores follow the pieces' order (a logarithmic
 rank law), as the file itself has only ranks. A character that no piece covers costs one piece for each UTF-8 byte.
 
-Cases: null text counts as no words; an empty table gives an empty table; a word longer than LONG is scored by the same
-rule without entering the trie; repeated rows give repeated rows; other columns are not read.
+Cases: null text counts as no words; an empty table gives an empty table; a word of LONG characters or more is scored by
+the same rule without entering the trie or being kept, in memory that doesn't grow with its length; repeated rows give
+repeated rows; a null key is a key like any other; other columns are not read.
 """
 
 from __future__ import annotations
@@ -45,6 +46,7 @@ class PrefixTrie:
         # ends of pieces: a piece's score, or none for what is only the end of longer pieces; other strings end the search to the left
         self.ends: dict[str, int | None] = {p[k:]: None for p in scores for k in range(len(p))} | scores
         self.byte = min(scores.values(), default=0) - SCALE
+        self.reach = max(map(len, scores), default=1)
         self.reset()
 
     def reset(self) -> None:
@@ -68,13 +70,22 @@ class PrefixTrie:
             k -= 1
         return top
 
+    def _long(self, path: str, stretch: int = 4096) -> int:
+        """Piece count of a path of any length: of its prefixes only those that a piece can reach back to are kept."""
+        done, at = [(0, 0)], 0
+        while True:
+            part = path[at : at + stretch + self.reach]
+            for n in range(len(done), len(part) + 1):
+                done.append(self._forward(part, n, done))
+            if at + len(part) == len(path):
+                return -done[-1][1]
+            drop = len(part) - self.reach
+            at, done = at + drop, done[drop:]
+
     def count(self, word: str) -> int:
         path = MARK + word
         if len(path) > LONG:
-            done = [(0, 0)]
-            for n in range(1, len(path) + 1):
-                done.append(self._forward(path, n, done))
-            return -done[-1][1]
+            return self._long(path)
         node, done = 0, [(0, 0)]
         for i, c in enumerate(path):
             kids = self.next[node]
@@ -90,11 +101,12 @@ class PrefixTrie:
         return -done[-1][1]
 
     def insert(self, distinct: set[str]) -> None:
-        """Insert new pre-tokens in sorted order and keep their terminal counts; the trie is emptied at its bound."""
+        """Insert new pre-tokens in sorted order and keep their terminal counts; the trie is emptied at its bound. Long ones don't enter."""
         if len(self.best) > self.most:
             self.reset()
         for w in sorted(distinct):
-            self.counts[w] = self.count(w)
+            if len(w) < LONG:
+                self.counts[w] = self.count(w)
 
 
 _tries: dict[str, PrefixTrie] = {}
@@ -110,7 +122,7 @@ def trie(path: str) -> PrefixTrie:
 def split_words(text: str | None) -> list[str]:
     if not text:
         return []
-    return text.split() if text.isascii() and not ODD.search(text) or not ODD.search(text) else WORDS.findall(text)
+    return WORDS.findall(text) if ODD.search(text) else text.split()
 
 
 def count_tokens(docs: DataFrame, path: str, key: str = "doc_id", text: str = "text", rows: int = 512) -> DataFrame:
@@ -129,7 +141,8 @@ def count_tokens(docs: DataFrame, path: str, key: str = "doc_id", text: str = "t
                 if len(t.best) > t.most:
                     t.reset()
                 t.insert(fresh.difference(t.counts))
-                get = t.counts.__getitem__
+                far = {w: t.count(w) for w in fresh if len(w) >= LONG}
+                get = (t.counts | far).__getitem__ if far else t.counts.__getitem__
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(map(len, texts), pa.int64()), pa.array((sum(map(get, w)) for w in texts), pa.int64())], ["key", "n_words", "n_tokens"])
 
     return docs.select(F.col(key).alias("key"), F.col(text).cast("string")).mapInArrow(run, f"key {kind}, n_words long, n_tokens long").withColumnRenamed("key", key)
