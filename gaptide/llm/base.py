@@ -16,10 +16,27 @@ def keep(name: str, forget) -> None:
 
 
 def forget_others(name: str = "") -> None:
-    """Empty what other operators have kept in this worker: stages of one application share its memory."""
+    """Empty what other operators have kept in this worker, and give freed memory back: stages of one application share its memory."""
+    import pyarrow as pa
+
     for other, forget in _kept.items():
         if other != name:
             forget()
+    pa.default_memory_pool().release_unused()
+    try:
+        import ctypes
+
+        ctypes.CDLL(None).malloc_trim(0)
+    except (OSError, AttributeError):  # not every C library can
+        pass
+
+
+def fresh(name: str, columns) -> str:
+    """The name, with as many underscores as make it differ from all columns."""
+    held = {c.lower() for c in columns}
+    while name.lower() in held:
+        name += "_"
+    return name
 
 
 #: ASCII white space that separates words: space, tab, line feed, vertical tab, form feed, return.

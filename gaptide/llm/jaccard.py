@@ -17,7 +17,7 @@ documents are tried against the block's first one only; what links there is one
 
 Cases: a null or blank text has an empty set and links with nothing; fewer words than a shingle make one shingle of the
 whole; doc_id is a key (repeated whole rows count as one; rows that share it with different texts may share links); a null doc_id is in no group (component null); an empty
-table gives an empty table; texts are read whole; other columns aren't read.
+table gives an empty table; texts are read whole; other columns aren't read, and `one_of_each` returns them whatever their names.
 """
 
 from __future__ import annotations
@@ -31,7 +31,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .base import cut, forget_others, mix64, release, shingles, ship, utf8, words
+from .base import cut, forget_others, fresh, mix64, release, shingles, ship, utf8, words
 
 LEAST_GROUPS = 16
 CELL_BITS, CELL_BLOCK = 19, 1 << 13
@@ -39,8 +39,10 @@ BITMAP = 1 << 25
 SMALL_BLOCK = 256
 #: Blocks of more documents are dealt in parts, and each pair of parts is a task's work.
 LARGE_BLOCK = 4096
-#: Bytes of text that are hashed at once.
-AT_ONCE = 1 << 20
+#: Shingles of a block beyond which it is dealt in parts too: points take a byte or two for each.
+LARGE_BYTES = 32 << 20
+#: Bytes of text that are hashed at once, and bytes of folded points that are compared at once.
+AT_ONCE, POINT_BYTES = 1 << 20, 32 << 20
 
 
 def point(s: np.ndarray) -> np.ndarray:
@@ -282,7 +284,8 @@ class CountTree:
             leaves = leaves[leaves >= k]
             if len(leaves):
                 leaves = leaves[self.may(self.upper[k], self.low[k], self.high[k], self.upper[leaves], self.low[leaves], self.high[leaves])]
-            for some in np.array_split(leaves, max(1, len(leaves) // 64)):
+            most = max(1, min(64, POINT_BYTES // (8 * self.leaf * self.leaf * self.points.shape[1])))
+            for some in np.array_split(leaves, -(-len(leaves) // most)):
                 if not len(some):
                     continue
                 other = np.concatenate([np.arange(self.at[x], min(self.at[x] + self.leaf, n)) for x in some])
@@ -293,6 +296,17 @@ class CountTree:
                     yield self.order[lo + i], self.order[other[j]]
 
 
+def near_points(raw: list[np.ndarray], some: np.ndarray, groups: int, sizes: np.ndarray, roots: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Pairs of places in some that the tree over a quarter of the groups and then the bound by all of them let through."""
+    fine, n = np.stack([folded(raw[i], groups) for i in some]), sizes[some]
+    step = max(1, min(4096, POINT_BYTES // (8 * groups)))
+    for i, j in CountTree(fine.reshape(len(some), -1, max(LEAST_GROUPS, groups // 4)).sum(axis=1), n).pairs(roots[some]):
+        for lo in range(0, len(i), step):
+            p, q = i[lo : lo + step], j[lo : lo + step]
+            ok = 7 * np.minimum(fine[p], fine[q]).sum(axis=1) >= 3 * (n[p] + n[q])
+            yield p[ok], q[ok]
+
+
 def block_pairs(ids: np.ndarray, own: np.ndarray, sizes: np.ndarray, roots: np.ndarray, part: np.ndarray, points: np.ndarray) -> Iterator[np.ndarray]:
     """Pairs of a block that neither the tree nor the fine points rule out. Similar sets have points of one length or of neighbouring ones, so each length is taken with the next."""
     if len(ids) < 2 or (roots == roots[0]).all():
@@ -304,24 +318,26 @@ def block_pairs(ids: np.ndarray, own: np.ndarray, sizes: np.ndarray, roots: np.n
         some = np.flatnonzero((length == g) | (length == 2 * g))
         if len(some) < 2 or (roots[some] == roots[some[0]]).all():
             continue
-        fine = np.stack([folded(raw[i], g) for i in some])
-        small = max(LEAST_GROUPS, g // 4)
-        near = length[some] == g
-        for i, j in CountTree(fine.reshape(len(some), -1, small).sum(axis=1), sizes[some]).pairs(roots[some]):
-            # a pair of two guests is met in their own block, one of the same part in the part's own cell
-            keep = (near[i] | near[j]) & (own[some[i]] | own[some[j]]) & ((part[some[i]] != part[some[j]]) | alone)
-            i, j = i[keep], j[keep]
-            for lo in range(0, len(i), 4096):
-                p, q = i[lo : lo + 4096], j[lo : lo + 4096]
-                ok = 7 * np.minimum(fine[p], fine[q]).sum(axis=1) >= 3 * (sizes[some[p]] + sizes[some[q]])
-                x, y = ids[some[p[ok]]], ids[some[q[ok]]]
-                yield np.stack([np.minimum(x, y), np.maximum(x, y)])
+        # points of long documents are many bytes: as many documents at a time as have room, and each lot with each later one
+        room = max(16, POINT_BYTES // (8 * int(g)))
+        lots = np.array_split(some, -(-len(some) // room))
+        for first in range(len(lots)):
+            for then in range(first, len(lots)):
+                both = lots[first] if first == then else np.concatenate((lots[first], lots[then]))
+                lot = np.arange(len(both)) >= len(lots[first])
+                for p, q in near_points(raw, both, int(g), sizes, roots):
+                    # a pair of two guests is met in their own block, one of the same part in the part's own cell, one of the same lot by itself
+                    x, y = both[p], both[q]
+                    keep = ((length[x] == g) | (length[y] == g)) & (own[x] | own[y]) & ((part[x] != part[y]) | alone) & ((lot[p] != lot[q]) | (first == then))
+                    a, b = ids[x[keep]], ids[y[keep]]
+                    yield np.stack([np.minimum(a, b), np.maximum(a, b)])
 
 
 def tree_candidates(members: DataFrame) -> DataFrame:
     """Pairs (a, b) of documents of different groups (column root) in one block (key) that the tree can't rule out.
 
-    A block of more than SMALL_BLOCK is split by bands of sizes, one of more than LARGE_BLOCK also in pairs of parts; a document is in its own band's part and a guest in the next one's: similar
+    members has key, size (documents of the block), weight (their shingles), doc_id, n, root, fine. A block of more than
+    SMALL_BLOCK is split by bands of sizes, one of more than LARGE_BLOCK or LARGE_BYTES also in pairs of parts; a document is in its own band's part and a guest in the next one's: similar
     sets are at most a band apart.
     """
 
@@ -363,10 +379,10 @@ def tree_candidates(members: DataFrame) -> DataFrame:
 
     band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(4 / 3))).cast("int")
     at = lambda b, own: F.struct(b.alias("at"), F.lit(own).alias("own"))
-    split = F.when(F.col("big"), F.array(at(band, True), at(band + 1, False))).otherwise(F.array(at(F.lit(-1), True)))
-    rows = members.select("*", F.explode(split).alias("x")).select("key", "size", F.col("x.at").alias("band"), F.col("x.own").alias("own"), "doc_id", "n", "root", "fine")
+    split = F.when(F.col("size") > SMALL_BLOCK, F.array(at(band, True), at(band + 1, False))).otherwise(F.array(at(F.lit(-1), True)))
+    rows = members.select("*", F.explode(split).alias("x")).select("key", "size", "weight", F.col("x.at").alias("band"), F.col("x.own").alias("own"), "doc_id", "n", "root", "fine")
     # a large block: a document goes to each pair of parts that its own is in
-    parts = F.greatest(F.lit(1), F.ceil(F.col("size") / LARGE_BLOCK)).cast("long")
+    parts = F.greatest(F.lit(1), F.ceil(F.col("size") / LARGE_BLOCK), F.ceil(F.col("weight") / LARGE_BYTES)).cast("long")
     rows = rows.withColumn("parts", parts).withColumn("part", F.pmod(F.xxhash64("doc_id"), F.col("parts")))
     rows = rows.withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), F.col("parts") - 1)))
     cell = F.least("part", "j") * F.col("parts") + F.greatest("part", "j")
@@ -422,11 +438,14 @@ def join_groups(docs: DataFrame, width: int = 5) -> DataFrame:
     release(spark)
 
     # blocks that still hold several groups, through the tree
-    member = members.join(roots, F.col("doc_id") == F.col("node"), "left").select("token", "doc_id", F.coalesce("root", "doc_id").alias("root"))
+    member = members.join(roots, F.col("doc_id") == F.col("node"), "left").select("token", "doc_id", "n", F.coalesce("root", "doc_id").alias("root"))
     sets = member.groupBy("token").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("size"), F.min("doc_id").alias("first"), F.bit_xor(F.xxhash64("doc_id")).alias("x"), F.bit_xor(F.xxhash64("doc_id", F.lit(1))).alias("y"))
     # the shingles of one passage make blocks of the same documents: one of them is enough; small blocks with the same first document are joined as one
-    blocks = sets.where("lo <> hi").groupBy("size", "x", "y").agg(F.min("token").alias("token"), F.min("first").alias("first")).select("token", (F.col("size") > SMALL_BLOCK).alias("big"), "first", "size")
-    held = member.join(blocks, "token").select(F.when(F.col("big"), F.col("token")).otherwise(F.col("first")).alias("key"), "big", F.when(F.col("big"), F.col("size")).otherwise(0).alias("size"), "doc_id", "root").distinct()
+    blocks = sets.where("lo <> hi").groupBy("size", "x", "y").agg(F.min("token").alias("token"), F.min("first").alias("first")).select("token", F.when(F.col("size") > SMALL_BLOCK, F.col("token")).otherwise(F.col("first")).alias("key"))
+    held = cut(member.join(blocks, "token").select("key", "doc_id", "n", "root").distinct())
+    # what a joined block really holds decides how it is dealt, so that no key is one task's work; few keys hold much
+    much = held.groupBy("key").agg(F.count(F.lit(1)).alias("size"), F.sum("n").alias("weight")).where((F.col("size") > SMALL_BLOCK) | (F.col("weight") > LARGE_BYTES))
+    held = held.join(much, "key", "left").select("key", F.coalesce("size", F.lit(0)).alias("size"), F.coalesce("weight", F.lit(0)).alias("weight"), "doc_id", "root")
     found = tree_candidates(held.join(points, "doc_id"))
     edges = edges.union(verified(docs, found.join(edges, ["a", "b"], "left_anti"), width))
     release(spark)
@@ -442,6 +461,6 @@ def one_of_each(docs: DataFrame, width: int = 5) -> DataFrame:
     """docs with one document of each group, that of the smallest doc_id; rows without a doc_id stay."""
     first = join_groups(docs, width).where(F.col("doc_id") == F.col("component_id")).select("doc_id").distinct()
     kept = docs.where(F.col("doc_id").isNotNull()).join(first, "doc_id", "left_semi")
-    turn = F.row_number().over(W.partitionBy("doc_id").orderBy(F.xxhash64("text")))
-    kept = kept.withColumn("turn_", turn).where("turn_ = 1").select(*docs.columns)
+    turn, name = F.row_number().over(W.partitionBy("doc_id").orderBy(F.xxhash64("text"))), fresh("turn", docs.columns)
+    kept = kept.withColumn(name, turn).where(F.col(name) == 1).select(*docs.columns)
     return kept.unionByName(docs.where(F.col("doc_id").isNull()))
