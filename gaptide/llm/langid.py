@@ -3,7 +3,7 @@
 The kernel of two stretches of text is the number of hashed byte n-grams (a blended spectrum of lengths 1 to 4) that both
 hold, over the root of the product of the numbers that each holds: presence, not frequency. A text is cut into even
 stretches of at most STRETCH bytes, all of them are read, and the kernel of two texts is the mean over their pairs of
-stretches; so hashed places don't fill up however long a text is, and a text's regression is the mean of its stretches'.
+stretches; capitals count as small letters; so hashed places don't fill up however long a text is, and a text's regression is the mean of its stretches'.
 Landmark texts of all lengths give Nyström features; one ridge regression per language, against the rest, is solved on a
 bounded sample of labelled texts, and all texts are scored in batches by one matrix product.
 
@@ -11,7 +11,7 @@ The sample's bound (landmarks and texts for each language) is a parameter; every
 
 Cases: a text that is null or has no letter is `und` with score 0; null languages are not learned from; with nothing to
 learn from, every text is `und`; repeated rows are predicted alike; long texts are read whole; an empty table gives an
-empty table; other columns play no part.
+empty table; other columns pass through, but for those that have the names of the two that are added.
 """
 
 from __future__ import annotations
@@ -36,11 +36,19 @@ LETTER = regex.compile(r"\p{L}")
 UNKNOWN = "und"
 
 
+def folded(b: np.ndarray) -> np.ndarray:
+    """Bytes of UTF-8 text with A to Z, and the accented capitals of the two-byte block C3 80 to C3 9E, as small letters."""
+    low = b + np.uint8(32) * ((b >= 65) & (b <= 90))
+    accented = np.flatnonzero((b[:-1] == 0xC3) & (b[1:] >= 0x80) & (b[1:] <= 0x9E) & (b[1:] != 0x97)) + 1
+    low[accented] += np.uint8(32)
+    return low
+
+
 def presence(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray, longest: int = 4) -> np.ndarray:
     """Presence (0 or 1) of hashed n-grams, a row for each stretch."""
     out = np.zeros((len(starts), 1 << BITS), np.float32)
     for i in range(len(out)):
-        b = raw[starts[i] : ends[i]].astype(np.uint32)
+        b = folded(raw[starts[i] : ends[i]]).astype(np.uint32)
         row, gram = out[i], np.zeros(len(b), np.uint32)
         for n in range(1, longest + 1):
             if len(b) < n:
@@ -125,13 +133,13 @@ def learn(docs: DataFrame, usable: Column, lang: str = "lang", text: str = "text
     return fit(x, [r["lang"] for r in rows], landmarks_each)
 
 
-def predict(docs: DataFrame, model: KernelModel, text: str = "text", rows: int = 256) -> DataFrame:
-    """All columns of docs, and lang_pred and score: half of 1 plus the best regression, within 0 and 1."""
+def predict(docs: DataFrame, model: KernelModel, text: str = "text", rows: int = 256, out: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
+    """All columns of docs, and two of the names in out: the language, and half of 1 plus the best regression, within 0 and 1. Columns of docs with these names give way."""
     ship(docs.sparkSession)
     sent = docs.sparkSession.sparkContext.broadcast(model)
+    docs = docs.drop(*out)
     names = docs.columns
-    others = [f.simpleString().split(":", 1) for f in docs.schema.fields]
-    schema = ", ".join(f"`{n}` {t}" for n, t in others) + ", lang_pred string, score double"
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema.fields) + f", `{out[0]}` string, `{out[1]}` double"
     place = names.index(text)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -148,6 +156,6 @@ def predict(docs: DataFrame, model: KernelModel, text: str = "text", rows: int =
                     best = s.argmax(axis=1)
                     guess[lettered] = np.array(m.langs, object)[best[lettered]]
                     score[lettered] = np.clip((1 + s.max(axis=1).astype(float)) / 2, 0, 1)[lettered]
-                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(guess, pa.string()), pa.array(score, pa.float64())], [*names, "lang_pred", "score"])
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(guess, pa.string()), pa.array(score, pa.float64())], [*names, *out])
 
     return docs.mapInArrow(run, schema)

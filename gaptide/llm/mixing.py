@@ -11,7 +11,8 @@ buckets of about the square root of the source's rows, then over bucket totals.
 
 Cases: null or empty text has size 0, takes nothing; a null source is a source of its own, last in order; null doc_ids
 share one hash key; repeated rows are separate documents; an empty table gives an empty table; a document is cut where
-the target ends, so that a source's taken words differ from its target by less than one word.
+the target ends, so that a source's taken words differ from its target by less than one word; other columns of docs aren't
+read by `mix` (those it keeps must not have the names it adds), and pass through `materialised` whatever their names.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .base import WORD, attach, cut
+from .base import WORD, attach, cut, fresh
 
 Schedule = Sequence[tuple[float, float]]
 
@@ -78,6 +79,8 @@ def mix(docs: DataFrame, schedules: Sequence[Schedule], total_share: float = 1.5
     """
     if not 0 < limit <= 2:
         raise ValueError("limit must be above 0 and at most 2")
+    if taken := {"size", "source", "key", "sk", "sn", "source_size", "turn", "target", "buckets", "bucket", "bucket_start", "inside", "at", "taken"} & {k.lower() for k in keep}:
+        raise ValueError(f"columns to keep must have other names than {sorted(taken)}")
     digest = F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col(keep[0]).cast("string"), F.lit(""))))
     key = F.conv(F.substring(digest, 1, 15), 16, 10).cast("long")
     size = F.coalesce(F.regexp_count(F.col(text).cast("string"), F.lit(WORD)), F.lit(0)).cast("long")
@@ -122,7 +125,8 @@ def materialised(docs: DataFrame, schedules: Sequence[Schedule], total_share: fl
     plan = mix(one.select("doc_id", "source", "text"), schedules, total_share, limit, seed)
     passes = F.array(*[F.struct(F.col(f"{n}_position").alias("position"), F.col(f"{n}_taken").alias("words")) for n in ("first", "second")])
     asked = plan.select("doc_id", "size", F.explode(passes).alias("p")).where((F.col("p.words") > 0) & (2 * F.col("p.words") >= F.col("size")))
-    asked = asked.select("doc_id", F.col("p.position").alias("position")).distinct()
+    at = fresh("position", docs.columns)
+    asked = asked.select("doc_id", F.col("p.position").alias(at)).distinct()
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     placed = one.join(asked, "doc_id")
-    return placed.repartitionByRange(parts, "position", "doc_id").sortWithinPartitions("position", "doc_id").select(*docs.columns)
+    return placed.repartitionByRange(parts, at, "doc_id").sortWithinPartitions(at, "doc_id").select(*docs.columns)
