@@ -3,7 +3,8 @@
 Vectors are brought to length 1, so that nearness by cosine is nearness by distance, and projected on a few Gaussian (2-stable) directions:
 the squared projected distance over the squared true distance follows a chi-square law with as many degrees of freedom. A
 kd-tree over the projections gives neighbours in growing projected distance; each is verified on the whole vector, and the search
-stops once the law says that a vector still unseen is nearer than the worst kept with less than a set probability.
+stops once the law says that a vector still unseen is nearer than the worst kept with less than a set probability. A true
+neighbour is passed over with at most that probability; with fewer directions or more confidence more vectors are verified.
 
 Vectors are dealt into blocks, each with its own tree; blocks of queries meet blocks of vectors and the best of each block
 are merged. Equal vectors are searched once and spread at the end by their smallest ids, of which no answer needs more.
@@ -15,10 +16,9 @@ the query's are no candidates; null ids take no part; a table with fewer candida
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
-
 import numpy as np
-import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -71,26 +71,30 @@ class ProjectionTree:
         self.high = np.array([p[x].max(axis=0) for x in leaves])
         self.unit, self.projected = unit[self.order], p[self.order]
 
-    def search(self, query: np.ndarray, seen: np.ndarray, k: int, factor: float) -> tuple[np.ndarray, np.ndarray]:
-        """Places and cosines of the k nearest found. seen: the query's projection; factor: the law's quantile."""
+    def search(self, query: np.ndarray, seen: np.ndarray, k: int, factor: float) -> tuple[np.ndarray, np.ndarray, int]:
+        """Places and cosines of the k nearest found, and how many vectors were verified. seen: the query's projection; factor: the law's quantile.
+
+        Leaves come in the order of their boxes' distance, more of them at a time as the search goes on; of their vectors
+        only those are verified whose own projected distance the stopping test leaves open.
+        """
         gap = np.maximum(np.maximum(self.low - seen, seen - self.high), 0)
         near = np.einsum("ij,ij->i", gap, gap)
         turn = np.argsort(near, kind="stable")
-        at, cosine, step, done = np.zeros(0, np.int64), np.zeros(0), 4, 0
-        while done < len(turn):
-            if len(cosine) >= k:
-                worst = 2 - 2 * np.partition(cosine, len(cosine) - k)[len(cosine) - k]
-                if near[turn[done]] > factor * max(worst, 1e-12):
-                    break
+        at, cosine, step, done, verified, limit = np.zeros(0, np.int64), np.zeros(0), 4, 0, 0, np.inf
+        while done < len(turn) and near[turn[done]] <= limit:
             some = turn[done : done + step]
             done, step = done + step, min(2 * step, 64)
             rows = np.concatenate([np.arange(self.ends[i], self.ends[i + 1]) for i in some])
-            value = self.unit[rows] @ query
-            at, cosine = np.concatenate((at, rows)), np.concatenate((cosine, value))
+            off = self.projected[rows] - seen
+            rows = rows[np.einsum("ij,ij->i", off, off) <= limit]
+            verified += len(rows)
+            at, cosine = np.concatenate((at, rows)), np.concatenate((cosine, self.unit[rows] @ query))
             if len(at) > 4 * k:
                 best = np.argpartition(-cosine, 2 * k)[: 2 * k]
                 at, cosine = at[best], cosine[best]
-        return self.order[at], cosine
+            if len(cosine) >= k:
+                limit = factor * max(2 - 2 * np.partition(cosine, len(cosine) - k)[len(cosine) - k], 1e-12)
+        return self.order[at], cosine, verified
 
 
 def usable(vectors: DataFrame, key: str, vector: str) -> DataFrame:
@@ -99,8 +103,19 @@ def usable(vectors: DataFrame, key: str, vector: str) -> DataFrame:
     return vectors.where(F.coalesce(good, F.lit(False))).select(F.col(key).cast("long").alias("id"), v.alias("v"))
 
 
-def nearest(vectors: DataFrame, is_query: Column, key: str = "vec_id", vector: str = "embedding", k: int = 5, dims: int = 8, confidence: float = 0.98, block: int = 8192, query_block: int = 4096, seed: int = 7) -> DataFrame:
-    """query_id, rank, vec_id, score: the k nearest found of each query among all other rows."""
+def matrix(column: pa.ChunkedArray, size: int) -> np.ndarray:
+    """Rows of a list column of one length, brought to length 1."""
+    y = column.combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(-1, size)
+    y = y / np.abs(y).max(axis=1, keepdims=True)
+    return y / np.sqrt(np.einsum("ij,ij->i", y, y))[:, None]
+
+
+def nearest(vectors: DataFrame, is_query: Column, key: str = "vec_id", vector: str = "embedding", k: int = 5, dims: int = 24, confidence: float = 0.95, block: int = 32768, query_block: int = 32768, seed: int = 7, counted: bool = False) -> DataFrame:
+    """query_id, rank, vec_id, score: the k nearest found of each query among all other rows.
+
+    A block of vectors meets a block of queries in one task, so vectors move once for each query_block queries. counted:
+    instead return q, seen and verified, the number of vectors that each searched vector met and verified, block by block.
+    """
     spark = vectors.sparkSession
     ship(spark)
     good = usable(vectors, key, vector)
@@ -110,35 +125,38 @@ def nearest(vectors: DataFrame, is_query: Column, key: str = "vec_id", vector: s
     queries = good.where(F.expr(is_query) if isinstance(is_query, str) else is_query)
     asked = cut(queries.groupBy("v").agg(F.min("id").alias("q")).join(classes.select("v", "rep"), "v").select("q", "rep", "v"))
     n, m = classes.count(), asked.count()
-    parts, lots = max(1, math.ceil(n / block)), max(1, math.ceil(m / query_block))
+    # smaller blocks where there would be fewer than cores
+    parts, lots = max(1, math.ceil(n / block), min(math.ceil(n / 4096), spark.sparkContext.defaultParallelism)), max(1, math.ceil(m / query_block))
     factor = chi_square_quantile(confidence, dims)
 
     def dealt(h: Column, many: int) -> Column:
         return F.pmod(F.xxhash64(h), F.lit(many)).cast("int")
 
-    left = classes.select(dealt(F.col("rep"), parts).alias("p"), F.explode(F.sequence(F.lit(0), F.lit(lots - 1))).alias("l"), F.col("rep").alias("i"), "v", F.size("ids").alias("copies"))
-    right = asked.select(F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("p"), dealt(F.col("q"), lots).alias("l"), F.col("q").alias("i"), "v", F.lit(0).alias("copies"))
-
-    def search(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
-        out = []
-        if len(a) and len(b):
-            for size in sorted({len(v) for v in b["v"]}):
-                base, ask = a[a["v"].map(len) == size], b[b["v"].map(len) == size]
-                if not len(base):
-                    continue
-                x, q = np.stack(base["v"].to_numpy()), np.stack(ask["v"].to_numpy())
-                x, q = (y / np.abs(y).max(axis=1, keepdims=True) for y in (x, q))
-                x, q = (y / np.sqrt(np.einsum("ij,ij->i", y, y))[:, None] for y in (x, q))
-                directions = np.random.default_rng(seed).standard_normal((size, dims))
-                tree, ids = ProjectionTree(x, directions), base["i"].to_numpy()
-                for query, seen, i in zip(q, q @ directions, ask["i"].to_numpy()):
-                    at, cosine = tree.search(query, seen, k + 1, factor)
-                    # rounding must not decide among near-equal ones before the exact score does: a few more go on
-                    best = np.argsort(-cosine, kind="stable")[: 2 * k]
-                    out.append(pd.DataFrame({"q": i, "rep": ids[at[best]], "near": cosine[best]}))
-        return pd.concat(out) if out else pd.DataFrame({"q": pd.Series(dtype="int64"), "rep": pd.Series(dtype="int64"), "near": pd.Series(dtype="float64")})
-
-    found = left.groupBy("p", "l").cogroup(right.groupBy("p", "l")).applyInPandas(search, "q long, rep long, near double")
+    left = classes.select(dealt(F.col("rep"), parts).alias("p"), F.explode(F.sequence(F.lit(0), F.lit(lots - 1))).alias("l"), F.col("rep").alias("i"), "v")
+    right = asked.select(F.explode(F.sequence(F.lit(0), F.lit(parts - 1))).alias("p"), dealt(F.col("q"), lots).alias("l"), F.col("q").alias("i"), F.col("v").alias("v"))  # v anew: a column of both sides would come once
+
+    def search(a: pa.Table, b: pa.Table) -> pa.Table:
+        asker, found, near, seen, verified = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+        lengths = [pc.list_value_length(t["v"]).to_numpy() if t.num_rows else np.zeros(0, np.int64) for t in (a, b)]
+        for size in sorted(set(lengths[1].tolist()) & set(lengths[0].tolist())):
+            base, ask = a.filter(pa.array(lengths[0] == size)), b.filter(pa.array(lengths[1] == size))
+            x, q = matrix(base["v"], size), matrix(ask["v"], size)
+            directions = np.random.default_rng(seed).standard_normal((size, dims))
+            tree, ids = ProjectionTree(x, directions), base["i"].to_numpy()
+            for query, place, i in zip(q, q @ directions, ask["i"].to_numpy()):
+                at, cosine, many = tree.search(query, place, k + 1, factor)
+                # rounding must not decide among near-equal ones before the exact score does: a few more go on
+                best = np.argsort(-cosine, kind="stable")[: 2 * k]
+                asker.append(np.full(len(best), i))
+                found.append(ids[at[best]])
+                near.append(cosine[best])
+                seen.append(np.full(len(best), len(x)))
+                verified.append(np.full(len(best), many))
+        return pa.table({"q": pa.array(np.concatenate(asker), pa.int64()), "rep": pa.array(np.concatenate(found), pa.int64()), "near": pa.array(np.concatenate(near), pa.float64()), "seen": pa.array(np.concatenate(seen), pa.int64()), "verified": pa.array(np.concatenate(verified), pa.int64())})
+
+    found = left.groupBy("p", "l").cogroup(right.groupBy("p", "l")).applyInArrow(search, "q long, rep long, near double, seen long, verified long")
+    if counted:
+        return found.groupBy("q", "seen", "verified").agg(F.count(F.lit(1)).alias("kept"))
     few = found.withColumn("r", F.row_number().over(W.partitionBy("q").orderBy(F.desc("near"), "rep"))).where(F.col("r") <= 2 * k).select("q", "rep")
     dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
     few = few.join(classes.select("rep", "ids", F.col("v").alias("w")), "rep").join(asked.select("q", "v"), "q")
