@@ -4,8 +4,13 @@ Everything is DataFrame functions. Record ids follow from the page's id and addr
 labelled as the format asks. A conversion's text is the page without comments, scripts, styles and tags, block tags
 ending a line, with character references decoded.
 
-Cases: null html is an empty page; a null url is an empty target; null ids share the empty id; repeated rows repeat their
-records; an empty table gives an empty table; pages of any length are read whole; extra columns pass through `records`.
+Where a table keeps the source's own status line and header lines, or its fetch times, columns with them can be named: the
+lines are kept in the response as they are, and the metadata and conversion records bear the same date. A table without them
+(such as one of id, address and page) gets a plain 200 response and one given date.
+
+Cases: null html is an empty page; a null url is an empty target; null headers or dates fall back on the plain ones; null ids
+share the empty id; repeated rows repeat their records; an empty table gives an empty table; pages of any length are read
+whole; extra columns aren't read, whatever their names.
 """
 
 from __future__ import annotations
@@ -63,13 +68,16 @@ def title(html: Column) -> Column:
     return F.regexp_replace(F.regexp_extract(html, r"(?is)<title[^>]*>(.*?)</title", 1), r"[\r\n\t]+", " ")
 
 
-def derive(pages: DataFrame, date: str = "2024-01-01T00:00:00Z", key: str = "page_id", url: str = "url", html: str = "html") -> DataFrame:
+def derive(pages: DataFrame, date: str = "2024-01-01T00:00:00Z", key: str = "page_id", url: str = "url", html: str = "html", headers: str | None = None, fetched: str | None = None) -> DataFrame:
     """key, kind, record_id, refers_to, target_uri, block_digest, payload_digest, content_type, content_length, block: three records for each page."""
     page, target, body = F.coalesce(F.col(key).cast("string"), F.lit("")), F.coalesce(F.col(url).cast("string"), F.lit("")), F.coalesce(F.col(html).cast("string"), F.lit(""))
-    rows = pages.select(F.col(key), page.alias("page"), target.alias("target"), body.alias("body"))
+    lines = F.regexp_replace(F.regexp_replace(F.col(headers).cast("string"), r"[\r\n]+$", ""), "\r?\n", CRLF) if headers else F.lit(None).cast("string")
+    when = F.coalesce(F.date_format(F.col(fetched).cast("timestamp"), "yyyy-MM-dd'T'HH:mm:ss'Z'"), F.lit(date)) if fetched else F.lit(date)
+    rows = pages.select(F.col(key), page.alias("page"), target.alias("target"), body.alias("body"), lines.alias("lines"), when.alias("date"))
     rows = rows.withColumn("plain", plain_text(F.col("body"))).withColumn("payload", digest(F.col("body")))
     b = F.col("body")
-    http = F.concat(F.lit(f"HTTP/1.1 200 OK{CRLF}Content-Type: text/html; charset=utf-8{CRLF}Content-Length: "), F.octet_length(b).cast("string"), F.lit(CRLF * 2), b)
+    plain_head = F.concat(F.lit(f"HTTP/1.1 200 OK{CRLF}Content-Type: text/html; charset=utf-8{CRLF}Content-Length: "), F.octet_length(b).cast("string"))
+    http = F.concat(F.coalesce(F.col("lines"), plain_head), F.lit(CRLF * 2), b)
     fields = F.concat(F.lit("title: "), title(b), F.lit(f"{CRLF}outlinks: "), F.regexp_count(b, F.lit(r"(?i)<a\b[^>]*\bhref")).cast("string"), F.lit(f"{CRLF}source-length: "), F.octet_length(b).cast("string"), F.lit(f"{CRLF}text-length: "), F.octet_length("plain").cast("string"), F.lit(f"{CRLF}source-payload-digest: "), F.col("payload"), F.lit(CRLF))
     source = urn("response", F.col("page"), F.col("target"))
     record = lambda kind, refers, mime, block, payload: F.struct(F.lit(kind).alias("kind"), urn(kind, F.col("page"), F.col("target")).alias("record_id"), refers.alias("refers_to"), F.lit(mime).alias("content_type"), payload.alias("payload_digest"), block.alias("block"))
@@ -78,8 +86,8 @@ def derive(pages: DataFrame, date: str = "2024-01-01T00:00:00Z", key: str = "pag
         record("metadata", source, "application/warc-fields", fields, F.col("payload")),
         record("conversion", source, "text/plain", F.col("plain"), F.col("payload")),
     )
-    rows = rows.select(key, "target", F.explode(three).alias("r"))
-    return rows.select(key, "r.kind", "r.record_id", "r.refers_to", F.col("target").alias("target_uri"), F.lit(date).alias("date"), "r.content_type", F.octet_length("r.block").cast("long").alias("content_length"), digest(F.col("r.block")).alias("block_digest"), "r.payload_digest", "r.block")
+    rows = rows.select(key, "target", "date", F.explode(three).alias("r"))
+    return rows.select(key, "r.kind", "r.record_id", "r.refers_to", F.col("target").alias("target_uri"), "date", "r.content_type", F.octet_length("r.block").cast("long").alias("content_length"), digest(F.col("r.block")).alias("block_digest"), "r.payload_digest", "r.block")
 
 
 def serialised(records: DataFrame) -> DataFrame:
