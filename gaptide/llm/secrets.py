@@ -6,7 +6,8 @@ generator of credentials and of what is taken for them (commit hashes, identifie
 
 Cases: null or empty text has no candidates; overlapping proposals of several rules count once (the first rule's, at the
 earliest place), but a long assigned value that the forest refuses is searched for others within it; values and texts of any
-length are read whole; repeated rows are scanned alike; an empty table gives an empty table.
+length are read whole; repeated rows are scanned alike; a null key is a key like any other; an empty table gives an empty
+table; `scan` reads no other columns, `redact` passes them through whatever their names.
 """
 
 from __future__ import annotations
@@ -192,6 +193,12 @@ def labelled(n: int = 2400, seed: int = 5) -> list[tuple[str, int]]:
     return out
 
 
+def labelled_rows(table: DataFrame, text: str = "text", label: str = "label", most: int = 20_000) -> list[tuple[str, int]]:
+    """Findings of a table for `train`: at most `most` rows whose text and label aren't null, those of the smallest hashes."""
+    rows = table.where(F.col(text).isNotNull() & F.col(label).isNotNull()).select(F.col(text).cast("string"), F.col(label).cast("int")).orderBy(F.xxhash64(text, label)).limit(most)
+    return [(r[0], int(r[1] != 0)) for r in rows.collect()]
+
+
 def train(findings: Sequence[tuple[str, int]] | None = None) -> Forest:
     rows, y = [], []
     for text, secret in findings if findings is not None else labelled():
