@@ -104,9 +104,10 @@ def fit(x: np.ndarray, langs: list[str], landmarks_each: int = 48, ridge: float
     root = vector[:, held] / np.sqrt(value[held])
     z = (x @ marks.T) @ root
     goal = np.where(y[:, None] == np.arange(len(names)), 1.0, -1.0)
-    mid, base = z.mean(axis=0), goal.mean(axis=0)
+    share = 1 / (len(names) * np.bincount(y)[y])[:, None]  # each language counts the same, however many of its texts there are
+    mid, base = (share * z).sum(axis=0), (share * goal).sum(axis=0)
     zc = z - mid
-    w = np.linalg.solve(zc.T @ zc + ridge * len(z) * np.eye(zc.shape[1]), zc.T @ (goal - base))
+    w = np.linalg.solve(zc.T @ (share * zc) + ridge * np.eye(zc.shape[1]), zc.T @ (share * (goal - base)))
     return KernelModel(names, marks, (root @ w).astype(np.float32), (base - mid @ w).astype(np.float32))
 
 
