@@ -57,7 +57,7 @@ def test_mixing_targets_and_limits(spark, odd, empty):
     r = mixing.mix(odd, mixing.ramps((3, 1, 2)), keep=("doc_id",)).toPandas()
     assert len(r) == len(ODD) and (r["taken"] <= 2 * r["size"]).all()
     per = spark.createDataFrame(r).groupBy("source_size", "target").agg(F.sum("taken").alias("taken")).collect()
-    assert all(abs(p["taken"] - p["target"] * 1) < 1 or p["taken"] % 1 == 0 for p in per)
+    assert all(abs(p["taken"] - p["target"]) < 1 for p in per if p["target"] is not None)
     assert mixing.mix(empty, mixing.ramps((3, 1, 2))).count() == 0
     again = mixing.mix(odd.repartition(7), mixing.ramps((3, 1, 2)), keep=("doc_id",)).toPandas()
     key = ["doc_id", "size", "taken"]
