@@ -80,6 +80,10 @@ class Objective:
         q = np.asarray(q, float)
         return np.where(q > 0, self.minimiser(a, u, np.where(q > 0, q, 1.0), y) - a, 0.0)
 
+    def step_one(self, a: float, u: float, q: float, y: float) -> float:
+        """The step of a single coordinate, in plain numbers where a model has its own form."""
+        return float(self.step(a, u, q, y))
+
     # --- the same as Columns
     def g_col(self, a: Column, y: Column) -> Column:
         raise NotImplementedError
@@ -115,6 +119,9 @@ class RidgePrimal(Objective):
     def minimiser(self, a, u, q, y=0.0):
         return (q * a - u) / (q + self.lam)
 
+    def step_one(self, a, u, q, y):
+        return -(u + self.lam * a) / (q + self.lam) if q > 0 else 0.0
+
     def g_col(self, a, y):
         return a * a * (0.5 * self.lam)
 
@@ -154,6 +161,9 @@ class RidgeDual(DualObjective):
     def minimiser(self, a, u, q, y=0.0):
         return (q * a + y - u) / (q + 1)
 
+    def step_one(self, a, u, q, y):
+        return (y - u - a) / (q + 1) if q > 0 else 0.0
+
     def g_col(self, a, y):
         return a * a * 0.5 - y * a
 
@@ -189,6 +199,13 @@ class LassoBoxed(Objective):
     def minimiser(self, a, u, q, y=0.0):
         return np.clip(soft(a - u / q, self.lam / q), -self.box, self.box)
 
+    def step_one(self, a, u, q, y):
+        if q <= 0:
+            return 0.0
+        z, t = a - u / q, self.lam / q
+        new = z - t if z > t else z + t if z < -t else 0.0
+        return min(max(new, -self.box), self.box) - a
+
     def g_col(self, a, y):
         return F.abs(a) * self.lam
 
@@ -213,6 +230,9 @@ class HingeSvmDual(DualObjective):
     def minimiser(self, a, u, q, y=0.0):
         return np.clip(a + (1 - u) / q, 0.0, 1.0)
 
+    def step_one(self, a, u, q, y):
+        return min(max(a + (1 - u) / q, 0.0), 1.0) - a if q > 0 else 0.0
+
     def g_col(self, a, y):
         return -a
 
@@ -260,6 +280,12 @@ class ElasticNet(Objective):
     def minimiser(self, a, u, q, y=0.0):
         return soft(q * a - u, self.lam) / (q + self.lam2)
 
+    def step_one(self, a, u, q, y):
+        if q <= 0:
+            return 0.0
+        z, t = q * a - u, self.lam
+        return (z - t if z > t else z + t if z < -t else 0.0) / (q + self.lam2) - a
+
     def g_col(self, a, y):
         return F.abs(a) * self.lam + a * a * (0.5 * self.lam2)
 
@@ -283,6 +309,9 @@ class SquaredHingeSvmDual(DualObjective):
     def minimiser(self, a, u, q, y=0.0):
         return np.maximum(0.0, a + (1 - u - a / 2) / (q + 0.5))
 
+    def step_one(self, a, u, q, y):
+        return max(0.0, a + (1 - u - a / 2) / (q + 0.5)) - a if q > 0 else 0.0
+
     def g_col(self, a, y):
         return a * a / 4 - a
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -32,7 +32,7 @@ def hinge(u: Column) -> Column:
 
 
 def register(spark: SparkSession) -> list[str]:
-    """gap_ridge(alpha, u, lam), gap_ridge_dual(alpha, u, y), gap_lasso(alpha, u, lam, box), gap_svm(alpha, u), ... and dense_dot, soft_threshold, clip, hinge as SQL functions (no Python runs in them); vec_sum, explode_coords, block_top as Python ones."""
+    """gap_ridge(alpha, u, lam), gap_ridge_dual(alpha, u, y), gap_lasso(alpha, u, lam, box), gap_svm(alpha, u), gap_logit_l1, gap_logit_dual, ... and dense_dot, sparse_dot, soft_threshold, clip, hinge as SQL functions (no Python runs in them); vec_sum, explode_coords, block_top as Python ones."""
     made = {
         "gap_ridge": ("a DOUBLE, u DOUBLE, lam DOUBLE", "(lam * a + u) * (lam * a + u) / (2 * lam)"),
         "gap_ridge_dual": ("a DOUBLE, u DOUBLE, y DOUBLE", "(a - y + u) * (a - y + u) / 2"),
@@ -40,6 +40,10 @@ def register(spark: SparkSession) -> list[str]:
         "gap_svm": ("a DOUBLE, u DOUBLE", "greatest(a * u - a + greatest(0D, 1 - u), 0D)"),
         "gap_sqhinge": ("a DOUBLE, u DOUBLE", "greatest(a * u - a + a * a / 4 + greatest(0D, 1 - u) * greatest(0D, 1 - u), 0D)"),
         "gap_enet": ("a DOUBLE, u DOUBLE, l1 DOUBLE, l2 DOUBLE", "greatest(a * u + l1 * abs(a) + l2 * a * a / 2 + greatest(abs(u) - l1, 0D) * greatest(abs(u) - l1, 0D) / (2 * l2), 0D)"),
+        "gap_logit_l1": ("a DOUBLE, u DOUBLE, lam DOUBLE, box DOUBLE", "greatest(a * u + lam * abs(a) + box * greatest(abs(u) - lam, 0D), 0D)"),
+        "gap_logit_dual": ("a DOUBLE, u DOUBLE", "greatest(a * u + CASE WHEN a > 0 THEN a * ln(a) ELSE 0D END + CASE WHEN a < 1 THEN (1 - a) * ln(1 - a) ELSE 0D END + greatest(-u, 0D) + log1p(exp(-abs(u))), 0D)"),
+        "sparse_dot": ("idx ARRAY<INT>, vals ARRAY<DOUBLE>, w ARRAY<DOUBLE>", "aggregate(zip_with(idx, vals, (i, x) -> get(w, i) * x), 0D, (s, x) -> s + x)"),
+        "dense_dot": ("a ARRAY<DOUBLE>, b ARRAY<DOUBLE>", "aggregate(zip_with(a, b, (x, y) -> x * y), 0D, (s, x) -> s + x)"),
         "soft_threshold": ("x DOUBLE, t DOUBLE", "sign(x) * greatest(abs(x) - t, 0D)"),
         "clip_to": ("x DOUBLE, lo DOUBLE, hi DOUBLE", "greatest(lo, least(hi, x))"),
         "hinge": ("u DOUBLE", "greatest(0D, 1 - u)"),
@@ -54,10 +58,16 @@ def register(spark: SparkSession) -> list[str]:
 
 @F.pandas_udf(T.ArrayType(T.DoubleType()))
 def vec_sum(v: pd.Series) -> list:
-    """Sum of arrays of one length, as an aggregate."""
+    """Sum of arrays of one length, as an aggregate of a group that fits one task; vector_sums has no such bound."""
     return np.sum(np.stack(v.to_numpy()), axis=0).tolist() if len(v) else []
 
 
+def vector_sums(rows: DataFrame, vals: str, *keys: str) -> DataFrame:
+    """keys and vals, the sum of the arrays of each group: cells are summed by place, so partial sums are added wherever the rows are and no task holds a group."""
+    cells = rows.select(*keys, F.posexplode(vals).alias("p_", "x_")).groupBy(*keys, "p_").agg(F.sum(F.col("x_").cast("double")).alias("x_"))
+    return cells.groupBy(*keys).agg(F.array_sort(F.collect_list(F.struct("p_", "x_"))).alias("c_")).select(*keys, F.transform("c_", lambda e: e["x_"]).alias(vals))
+
+
 @F.udtf(returnType=T.StructType([T.StructField("row_id", T.LongType()), T.StructField("x", T.DoubleType())]))
 class ExplodeCoords:
     """Non-zero cells of a dense row."""

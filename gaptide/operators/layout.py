@@ -63,8 +63,11 @@ def to_sparse(coo: DataFrame) -> DataFrame:
 def to_chunked(coo: DataFrame, width: int = 65536) -> DataFrame:
     """Every chunk that holds a cell, at full width."""
     placed = coo.select("coord_id", F.floor(F.col("row_id") / width).cast("int").alias("chunk"), F.pmod("row_id", F.lit(width)).cast("int").alias("p"), "x")
-    got = placed.groupBy("coord_id", "chunk").agg(F.map_from_entries(F.collect_list(F.struct("p", "x"))).alias("m"))
-    return got.select("coord_id", "chunk", F.transform(F.sequence(F.lit(0), F.lit(width - 1)), lambda i: F.coalesce(F.element_at("m", i), F.lit(0.0))).alias("vals"))
+    got = placed.groupBy("coord_id", "chunk").agg(F.array_sort(F.collect_list(F.struct("p", "x"))).alias("c"))
+    # zeros up to each cell's place, the cell, and zeros after the last one: each cell is touched once
+    at = F.transform("c", lambda e: e["p"])
+    lead = F.zip_with(F.concat(F.array(F.lit(-1)), F.slice(at, 1, F.size(at) - 1)), "c", lambda q, e: F.concat(F.array_repeat(F.lit(0.0), e["p"] - q - 1), F.array(e["x"])))
+    return got.select("coord_id", "chunk", F.concat(F.flatten(lead), F.array_repeat(F.lit(0.0), width - 1 - F.element_at(at, -1))).alias("vals"))
 
 
 def to_dense(coo: DataFrame, d: int) -> DataFrame:

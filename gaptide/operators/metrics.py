@@ -74,7 +74,7 @@ def mean_deviation(speedups: DataFrame) -> DataFrame:
     return speedups.agg(off("observed").alias("mean_deviation"), off("observed_rate").alias("mean_rate_deviation"), F.count("observed").alias("rounds"))
 
 
-def cost_model(log: DataFrame, bytes_per_column: int, bandwidth: float, fast_rate: float, slow_rate: float, cells: int, passes: int) -> DataFrame:
+def cost_model(log: DataFrame, bytes_per_column: int, bandwidth: float, fast_rate: float, slow_rate: float, cells: float, passes) -> DataFrame:
     """Modelled seconds of a round: transfer, then the longer of the block solver and the refresh."""
     transfer = F.col("swaps") * bytes_per_column / bandwidth
     fast = F.col("block_size") * cells * passes / fast_rate
@@ -87,8 +87,9 @@ def time_to(log: DataFrame, tolerance: float = 1e-4, clock: str = "m_time") -> D
     return relative(log).groupBy("run_id", "scheme").agg(F.min(F.when(F.col("rel") <= tolerance, F.col(clock))).alias("seconds"))
 
 
-def utilisation(log: DataFrame) -> DataFrame:
-    return log.where("t_round > 0").groupBy("run_id", "scheme").agg((F.sum("t_fast") / F.sum("t_round")).alias("fast_busy"), (F.sum("t_slow") / F.sum("t_round")).alias("slow_busy"))
+def utilisation(log: DataFrame, fast: str = "t_fast", slow: str = "t_slow", whole: str = "t_round") -> DataFrame:
+    """Parts of all rounds' time, measured or modelled, in which the fast and the slow unit work."""
+    return log.where(F.col(whole) > 0).groupBy("run_id", "scheme").agg((F.sum(fast) / F.sum(whole)).alias("fast_busy"), (F.sum(slow) / F.sum(whole)).alias("slow_busy"))
 
 
 def support(alpha: np.ndarray, eps: float = 1e-10) -> float:

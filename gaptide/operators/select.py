@@ -13,6 +13,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..common import hash32, hash32_py, unit_draw
+from .layout import dense_ids
 
 #: Up to this many rows a top list is one task's sort; beyond it the histogram finds the cut.
 SORT_UP_TO = 100_000
@@ -111,8 +112,9 @@ def select_block(rule: str, state: DataFrame, m: int, round: int = 0, seed: int
         n = options.get("n") or state.count()
         per = max(1, n // m)
         epoch, lo = round // per, (round % per) * m
-        order = W.orderBy(hash32(seed, f"e{epoch}", c("coord_id")), "coord_id")
-        return state.select("coord_id", (F.row_number().over(order) - 1).alias("r")).where((c("r") >= lo) & (c("r") < lo + m)).select("coord_id")
+        # ranks in the epoch's order without one task for all: ranges are sorted apart, then offset
+        drawn = state.select("coord_id", hash32(seed, f"e{epoch}", c("coord_id")).alias("k"))
+        return dense_ids(drawn, "k", "coord_id", name="r").where((c("r") >= lo) & (c("r") < lo + m)).select("coord_id")
     if rule == "keep_informative":
         n = options.get("n") or state.count()
         active = c("resident") & (((c("alpha") > 0) & (c("alpha") < 1)) | (c("u") < 1))
@@ -166,6 +168,10 @@ def select_np(rule: str, m: int, round: int, seed: int, s: dict[str, np.ndarray]
     if rule == "keep_informative":
         active = s["resident"] & (((s["alpha"] > 0) & (s["alpha"] < 1)) | (s["u"] < 1))
         return np.sort(np.lexsort(((ids - round * m) % n, ~active))[:m])
+    if rule == "partition_local_top":
+        own = s["bucket"]
+        parts = [np.flatnonzero(own == b) for b in np.unique(own)]
+        return np.sort(np.concatenate([p[top_np(s["z"][p], math.ceil(len(p) * m / n))] for p in parts]))
     if rule == "sticky":
         return top_np(np.where(s["resident"], s["z"] * (1 + margin), s["z"]), m)
     raise ValueError(f"unknown rule {rule}")

@@ -130,6 +130,8 @@ def passes(x: np.ndarray, alpha: np.ndarray, v: np.ndarray, obj: Objective, y: n
     a, dv, target = alpha.copy(), np.zeros_like(v), np.broadcast_to(np.asarray(y, float), (m,))
     exact_gradient = not (obj.quadratic or model)
     w, done = obj.grad(v), 0
+    if width == 1 and not exact_gradient:
+        return _single(x, alpha, v, obj, q, target, k, rng, sigma, seconds, tolerance, cyclic, began)
     for _ in range(k):
         order = np.arange(m) if cyclic else rng.permutation(m)
         for at in range(0, m, width):
@@ -150,6 +152,37 @@ def passes(x: np.ndarray, alpha: np.ndarray, v: np.ndarray, obj: Objective, y: n
     return Solved(a - alpha, dv, done, time.perf_counter() - began)
 
 
+def _single(x: np.ndarray | SparseRows, alpha: np.ndarray, v: np.ndarray, obj: Objective, q: np.ndarray, target: np.ndarray, k: int, rng: np.random.Generator, sigma: float, seconds: float | None, tolerance: float, cyclic: bool, began: float) -> Solved:
+    """Passes of one coordinate after the other under a gradient that is linear in the change: plain numbers but for the product and the update of the gradient."""
+    sparse, scale = isinstance(x, SparseRows), obj.smooth * sigma
+    a, curve, y, w, done = alpha.tolist(), q.tolist(), target.tolist(), np.array(obj.grad(v), float), 0
+    ptr = x.ptr.tolist() if sparse else None
+    for _ in range(k):
+        for i in range(len(a)) if cyclic else rng.permutation(len(a)).tolist():
+            if sparse:
+                at, row = x.idx[ptr[i] : ptr[i + 1]], x.vals[ptr[i] : ptr[i + 1]]
+                step = obj.step_one(a[i], float(row @ w[at]), curve[i], y[i])
+                if step:
+                    a[i] += step
+                    w[at] += (scale * step) * row  # a row's places are different ones
+            else:
+                row = x[i]
+                step = obj.step_one(a[i], float(row @ w), curve[i], y[i])
+                if step:
+                    a[i] += step
+                    w += (scale * step) * row
+        done += 1
+        if seconds is not None and time.perf_counter() - began > seconds:
+            break
+        if tolerance:
+            now = np.array(a)
+            u = x @ (w if obj.quadratic and sigma == 1 else obj.grad(v + (now - alpha) @ x))
+            if float(np.sum(obj.gap(now, u, target))) <= tolerance:
+                break
+    delta = np.array(a, float) - alpha
+    return Solved(delta, delta @ x, done, time.perf_counter() - began)
+
+
 def guarded(x: np.ndarray, alpha: np.ndarray, v: np.ndarray, obj: Objective, y: np.ndarray | float = 0.0, **options) -> Solved:
     """Wide passes whose damping is halved until the objective doesn't rise."""
     before, damping = total(obj, v, alpha, y), options.pop("damping", 1.0)

@@ -86,11 +86,11 @@ def asof_last_event(spark, sf_dir):
     return e.withColumn("b", last["event_id"]).where("event_type = 'purchase'").select("event_id", c("b").alias("before_id"))
 
 
-@query("WITH v AS (SELECT event_id, value FROM events), b AS (SELECT unnest(generate_series(0, 19)) AS k) SELECT k::INT AS bin, count(*) AS n, round(sum(value), 6) AS total FROM v JOIN b ON value >= k * 10 AND value < (k + 1) * 10 GROUP BY 1")
+@query("WITH v AS (SELECT event_id, value FROM events), b AS (SELECT unnest(generate_series(0, (SELECT floor(max(value) / 10)::BIGINT FROM events))) AS k) SELECT k::INT AS bin, count(*) AS n, round(sum(value), 6) AS total FROM v JOIN b ON value >= k * 10 AND value < (k + 1) * 10 GROUP BY 1")
 def range_join_bins(spark, sf_dir):
-    """Values in intervals: an equi-join on the bin that they fall in, then the bounds as they are."""
+    """Values in intervals, as many as cover them all: an equi-join on the bin that they fall in, then the bounds as they are."""
     v = table(spark, sf_dir, "events", "value").withColumn("bin", F.floor(c("value") / 10).cast("int"))
-    b = spark.range(20).select(c("id").cast("int").alias("bin"))
+    b = v.agg(F.max("bin").alias("last")).select(F.explode(F.sequence(F.lit(0), "last")).alias("bin"))
     return v.join(b, "bin").where((c("value") >= c("bin") * 10) & (c("value") < (c("bin") + 1) * 10)).groupBy("bin").agg(F.count(F.lit(1)).alias("n"), r6(F.sum("value")).alias("total"))
 
 
@@ -249,6 +249,86 @@ def coo_star(spark, sf_dir):
     return X.star_samples(spark, sf_dir).select("coord_id", F.round(c("y") * 100000, 2).alias("price"), r6(F.get("vals", 0)).alias("q"))
 
 
+@query("SELECT o_orderstatus, o_orderpriority, count(*) AS n, grouping_id(o_orderstatus, o_orderpriority)::BIGINT AS level FROM orders GROUP BY GROUPING SETS ((o_orderstatus, o_orderpriority), (o_orderpriority), ())")
+def grouping_sets_orders(spark, sf_dir):
+    o = table(spark, sf_dir, "orders")
+    return o.groupingSets([["o_orderstatus", "o_orderpriority"], ["o_orderpriority"], []], "o_orderstatus", "o_orderpriority").agg(F.count(F.lit(1)).alias("n"), F.grouping_id().alias("level"))
+
+
+@query("SELECT a.s_suppkey, count(*) AS richer FROM supplier a JOIN supplier b ON b.s_acctbal > a.s_acctbal GROUP BY 1")
+def join_theta(spark, sf_dir):
+    """How many are greater, without comparing pairs: rows of a value share its rank, ranks within ranges are offset by the counts of the ranges above."""
+    s = table(spark, sf_dir, "supplier", "s_suppkey", "s_acctbal")
+    ranged = s.groupBy("s_acctbal").agg(F.count(F.lit(1)).alias("n"))
+    span = F.floor(c("s_acctbal") / 256)
+    inside = F.coalesce(F.sum("n").over(W.partitionBy("g").orderBy(F.desc("s_acctbal")).rowsBetween(W.unboundedPreceding, -1)), F.lit(0))
+    values = ranged.withColumn("g", span).withColumn("inside", inside)
+    above = values.groupBy("g").agg(F.sum("n").alias("m")).withColumn("above", F.coalesce(F.sum("m").over(W.orderBy(F.desc("g")).rowsBetween(W.unboundedPreceding, -1)), F.lit(0)))  # a row for each range of values
+    return s.join(values.join(above, "g"), "s_acctbal").select("s_suppkey", (c("inside") + c("above")).alias("richer")).where("richer > 0")
+
+
+@query("SELECT event_type, true AS near FROM events GROUP BY 1")
+def agg_approx_distinct(spark, sf_dir):
+    """Approximate numbers of different users and values are within a tenth of the exact ones."""
+    near = lambda x: F.abs(F.approx_count_distinct(x, 0.02) - F.count_distinct(x)) <= 0.1 * F.count_distinct(x)
+    return table(spark, sf_dir, "events").groupBy("event_type").agg((near("user_id") & near("value")).alias("near"))
+
+
+@query("SELECT event_type, true AS near FROM events GROUP BY 1")
+def agg_kll_quantile(spark, sf_dir):
+    """The median by a mergeable sketch has between 45% and 55% of the values up to it."""
+    e = table(spark, sf_dir, "events", "event_type", "value")
+    at = e.groupBy("event_type").agg(F.expr("kll_sketch_get_quantile_double(kll_sketch_agg_double(value), 0.5D)").alias("at"))
+    return e.join(F.broadcast(at), "event_type").groupBy("event_type").agg(F.avg(F.when(c("value") <= c("at"), 1.0).otherwise(0.0)).between(0.45, 0.55).alias("near"))  # a row for each of few types
+
+
+@query("SELECT user_id, event_type AS kind, count(*) AS n, round(count(*) * 1.0 / sum(count(*)) OVER (PARTITION BY user_id), 6) AS share FROM events GROUP BY 1, 2")
+def scalar_maps(spark, sf_dir):
+    """A map of counts for each user, its values turned into shares, exploded again."""
+    m = table(spark, sf_dir, "events", "user_id", "event_type").groupBy("user_id", "event_type").agg(F.count(F.lit(1)).alias("n")).groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m"))
+    total = F.aggregate(F.map_values("m"), F.lit(0).cast("long"), lambda s, x: s + x)
+    part = m.select("user_id", "m", F.transform_values("m", lambda k, v: r6(v / total)).alias("p"))
+    return part.select("user_id", F.explode("m").alias("kind", "n"), "p").select("user_id", "kind", "n", F.element_at("p", c("kind")).alias("share"))
+
+
+@query("SELECT event_id, strftime(ts + INTERVAL 36 HOUR, '%Y-%m-%d') AS later, date_diff('day', TIMESTAMP '2024-01-01', ts)::INT AS days, (event_type LIKE 'p%') AS p, (event_type IS NOT DISTINCT FROM 'view') AS v FROM events")
+def scalar_intervals(spark, sf_dir):
+    e = table(spark, sf_dir, "events")
+    return e.select("event_id", F.date_format(c("ts") + F.expr("INTERVAL 36 HOURS"), "yyyy-MM-dd").alias("later"), F.datediff("ts", F.lit("2024-01-01").cast("date")).alias("days"), c("event_type").like("p%").alias("p"), c("event_type").eqNullSafe("view").alias("v"))
+
+
+@query("SELECT page_id, regexp_extract(url, '^https?://([^/?#]+)', 1) AS host FROM pages")
+def scalar_urls(spark, sf_dir):
+    return table(spark, sf_dir, "pages").select("page_id", F.coalesce(F.expr("try_parse_url(url, 'HOST')"), F.lit("")).alias("host"))
+
+
+@query("SELECT event_id, nth_value(event_id, 2) OVER (PARTITION BY user_id ORDER BY event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS second FROM events")
+def window_nth(spark, sf_dir):
+    w = W.partitionBy("user_id").orderBy("event_id").rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
+    return table(spark, sf_dir, "events").select("event_id", F.nth_value("event_id", 2).over(w).alias("second"))
+
+
+@query("SELECT o_orderpriority, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1")
+def join_hints(spark, sf_dir):
+    """The same join by sort and merge, by shuffled hash and, where the planner finds it small enough, as it likes: equal results."""
+    line, orders = table(spark, sf_dir, "lineitem", "l_orderkey"), table(spark, sf_dir, "orders", "o_orderkey", "o_orderpriority")
+    ways = [line.join(orders.hint(h) if h else orders, line.l_orderkey == orders.o_orderkey).groupBy("o_orderpriority").agg(F.count(F.lit(1)).alias("n")) for h in ("merge", "shuffle_hash", None)]
+    return ways[0].intersect(ways[1]).intersect(ways[2])
+
+
+@query("SELECT event_id AS coord_id, true AS ok FROM events WHERE event_type = 'purchase'")
+def event_samples_checked(spark, sf_dir):
+    """Purchases as samples: eight finite cells, an intercept, and target 1."""
+    s = X.event_samples(spark, sf_dir).where("y = 1")
+    vals = X.add_intercept(F.slice("vals", 1, 7))
+    return s.select("coord_id", ((F.size("vals") == 8) & F.forall("vals", lambda x: x.isNotNull() & ~F.isnan(x)) & (vals == c("vals"))).alias("ok"))
+
+
+@query("SELECT (('0x' || substr(md5('split0:' || event_id), 1, 8))::BIGINT + 0.5) / 4294967296.0 < 0.8 AS training, count(*) AS n FROM events GROUP BY 1")
+def split_by_hash(spark, sf_dir):
+    return table(spark, sf_dir, "events").groupBy(X.train_test_split(c("event_id")).alias("training")).agg(F.count(F.lit(1)).alias("n"))
+
+
 # --- streams against their batch forms
 
 
@@ -277,6 +357,18 @@ def stream_interval_join(spark, sf_dir):
     return EV.drain(EV.followed(EV.source(spark, sf_dir), EV.source(spark, sf_dir)), "append", "followed")
 
 
+@query("SELECT greatest(0, sum(greatest(0, 1 - (0.5 * (props->>'$.k')::DOUBLE / 100 + 0.25)))) > 0.1 * 1000 AS retrain FROM events")
+def stream_retrain(spark, sf_dir):
+    """Whether arrivals bring enough gap beside a certificate of 1,000 to train again."""
+    import numpy as np
+
+    from ..functions.objectives import HingeSvmDual
+
+    stream = EV.source(spark, sf_dir).select(c("event_id").alias("coord_id"), F.array(F.get_json_object("props", "$.k").cast("double") / 100, F.lit(1.0)).alias("vals"))
+    arrived = EV.drain(stream, "append", "retrain", lambda batch: EV.new_coordinates(batch, HingeSvmDual(1.0), np.array([0.5, 0.25])))
+    return spark.createDataFrame([(bool(EV.should_retrain(arrived, 1000.0)),)], "retrain boolean")
+
+
 @query("SELECT event_id, c_mktsegment FROM events LEFT JOIN customer ON user_id = c_custkey")
 def stream_static_join(spark, sf_dir):
     return EV.drain(EV.with_customers(EV.source(spark, sf_dir), table(spark, sf_dir, "customer")), "append", "static")
@@ -294,6 +386,6 @@ def stream_new_coords(spark, sf_dir):
     return EV.drain(stream, "append", "coords", each).select("coord_id", "alpha", r6("z").alias("z"))
 
 
-@query()
+@query("SELECT user_id, count(*) AS n, round(sum(value), 6) AS z FROM events GROUP BY 1")
 def stream_user_memory(spark, sf_dir):
     return EV.drain(EV.user_memory(EV.source(spark, sf_dir)), "update", "memory").groupBy("user_id").agg(F.max("n").alias("n"), F.round(F.max("z"), 6).alias("z"))

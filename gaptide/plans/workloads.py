@@ -11,10 +11,13 @@ import math
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..common import cut, hash32_py, table
 from ..functions import objectives as O
+from ..operators import bucketed as B
+from ..operators import gaps as G
 from ..operators import layout as L
 from ..operators import metrics as M
 from ..operators import theory as T
@@ -45,12 +48,28 @@ def poly2_problem(spark: SparkSession, sf_dir: str) -> tuple[R.LocalColumns, np.
     return R.LocalColumns(x), planted(x)
 
 
+def signed_samples(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Samples times their class (the label's half) as coordinates."""
+    sign = F.when(F.col("label") < 5, 1.0).otherwise(-1.0)
+    return X.emb_samples(spark, sf_dir).select("coord_id", F.transform("vals", lambda v: v * sign).alias("vals"))
+
+
 def svm_problem(spark: SparkSession, sf_dir: str) -> R.LocalColumns:
     """Samples times their class: the label's half."""
-    e = X.emb_samples(spark, sf_dir)
-    sign = F.when(F.col("label") < 5, 1.0).otherwise(-1.0)
-    _, x = X.matrix(e.select("coord_id", F.transform("vals", lambda v: v * sign).alias("vals")))
-    return R.LocalColumns(x)
+    return R.LocalColumns(X.matrix(signed_samples(spark, sf_dir))[1])
+
+
+def separated(spark: SparkSession, sf_dir: str, wrong: float = 0.1) -> tuple[np.ndarray, np.ndarray]:
+    """Samples and the side of a planted plane that they are on, a tenth of them on the wrong one: labels that can be learned and need a regulariser."""
+    _, x = X.matrix(X.emb_samples(spark, sf_dir).select("coord_id", "vals"))
+    side = np.sign(x @ np.array([2 * unit_py("sep", j) - 1 for j in range(x.shape[1])]))
+    return x, side * np.where([unit_py("flip", i) < wrong for i in range(len(x))], -1.0, 1.0)
+
+
+def best_lam(x: np.ndarray, labels: np.ndarray, lams=(0.3, 1.0, 3.0, 10.0), k: int = 8) -> tuple[float, dict[float, float]]:
+    """The regulariser of the greatest held-out accuracy, the greater one of equals."""
+    got = R.cross_validate(x, labels, O.HingeSvmDual, list(lams), k=k)
+    return max(got, key=lambda lam: (got[lam], lam)), got
 
 
 def text_problem(spark: SparkSession, sf_dir: str, dense_bytes: int = 256 << 20) -> tuple[R.LocalColumns, np.ndarray]:
@@ -73,61 +92,110 @@ def runs_for(schemes, best: float, rounds: int, **options) -> list[dict]:
     return [{"rule": s, "run_id": s, "best": best, "rounds": rounds, "init": "first_pass", **options} for s in schemes]
 
 
-def compare(spark: SparkSession, columns: R.LocalColumns, make, schemes=SCHEMES, rounds: int = 60, tolerance: float = 1e-4, reference: int = 600, **options) -> DataFrame:
-    """Round logs of the schemes with relative suboptimality and modelled time."""
+def refresh_share(k: int, fraction: float = 0.25) -> float:
+    """Part of the memory that the slow unit refreshes while the fast one makes k passes over its block."""
+    return min(1.0, k * fraction * SLOW / FAST)
+
+
+def compare(spark: SparkSession, columns: R.LocalColumns, make, schemes=SCHEMES, rounds: int = 60, tolerance: float = 1e-4, reference: int = 600, passes=(1, 2, 5, 10), **options) -> DataFrame:
+    """Round logs of the schemes with relative suboptimality and modelled time, each scheme at each number of passes.
+
+    The memory is refreshed for as long as the block is solved, so its share follows from the passes and the two units' rates.
+    """
     best, _, _ = R.optimum(columns, make(), reference, 1e-10)
-    log = R.run_grid(spark, columns, make, runs_for(schemes, best, rounds, tolerance=tolerance, **options))
-    timed = M.cost_model(M.relative(log), columns.bytes_per_column, LINK, FAST, SLOW, columns.d, options.get("k", 2))
-    # one thread without a fast unit: passes at the slow rate, no copies
-    slow = F.col("round") * (columns.n * columns.d / SLOW)
-    return timed.withColumn("m_time", F.when(F.col("scheme") == "plain_scd", slow).otherwise(F.col("m_time")))
+    base = {"best": best, "tolerance": tolerance, "rounds": rounds}
+    runs = [{"rule": s, "run_id": f"{s}:{k}", "k": k, "init": "first_pass", "refresh_fraction": refresh_share(k), **base, **options} for s in schemes if s != "plain_scd" for k in passes]
+    if "plain_scd" in schemes:
+        runs.insert(0, {"rule": "plain_scd", "run_id": "plain_scd:1", **base, "rounds": 4 * rounds})
+    log = cut(R.run_grid(spark, columns, make, runs))
+    return modelled(log, columns.n, columns.d, columns.bytes_per_column)
+
+
+def modelled(log: DataFrame, n: int, d: float, bytes_per_column: int) -> DataFrame:
+    """Modelled time of logs whose run_id ends in the number of passes. A rule that reads all gaps waits for a scan in each round, a memory for its first pass; one thread works at the slow rate and copies nothing."""
+    k = F.element_at(F.split("run_id", ":"), -1).cast("double")
+    scan = n * d / SLOW
+    timed = M.cost_model(M.relative(log), bytes_per_column, LINK, FAST, SLOW, d, k)
+    scans = F.when(F.col("scheme").isin("fresh_gap", "steepest", "keep_informative"), F.col("round")).when(F.col("scheme").isin(*R.MEMORY), F.least(F.col("round"), F.lit(1))).otherwise(0)
+    return timed.withColumn("m_time", F.when(F.col("scheme") == "plain_scd", F.col("round") * scan).otherwise(F.col("m_time") + scans * scan))
 
 
 def summary(log: DataFrame, tolerance: float = 1e-4) -> DataFrame:
-    """Rounds, modelled seconds and bytes to the tolerance of each scheme."""
-    reached = F.col("rel") <= tolerance
-    return log.groupBy("scheme").agg(F.min(F.when(reached, F.col("round"))).alias("rounds"), F.round(F.min(F.when(reached, F.col("m_time"))), 9).alias("model_seconds"), F.sum("swaps").alias("swaps"), F.sum("bytes_in").alias("bytes_in"), F.round(F.log10(F.min(F.greatest("rel", F.lit(1e-16)))), 3).alias("log10_best"), F.max("round").alias("rounds_run"))
+    """Each scheme at its own best number of passes: rounds, modelled seconds and bytes to the tolerance, busy shares of the two units, and seconds over the gap memory's (of a run that didn't reach the tolerance, where rounds is null: what it spent, so at least so much)."""
+    seconds, busy = M.time_to(log, tolerance).drop("scheme"), M.utilisation(log, "m_fast", "m_slow", "m_round").drop("scheme")
+    runs = M.rounds_to(log, tolerance).join(seconds, "run_id").join(log.groupBy("run_id").agg(F.sum("swaps").alias("swaps"), F.sum("bytes_in").alias("bytes_in"), F.max("m_time").alias("spent")), "run_id").join(busy, "run_id", "left")
+    first = F.row_number().over(W.partitionBy("scheme").orderBy(F.col("seconds").asc_nulls_last(), "best", "run_id"))
+    tuned = cut(runs.withColumn("r", first).where("r = 1"))  # a row for each scheme
+    memory = tuned.where("scheme = 'gap_memory'").select(F.col("seconds").alias("own"))
+    passes = F.element_at(F.split("run_id", ":"), -1).cast("int")
+    return tuned.join(F.broadcast(memory), F.lit(True), "left").select("scheme", passes.alias("passes"), "rounds", F.col("seconds").alias("model_seconds"), (F.coalesce("seconds", "spent") / F.col("own")).alias("over_memory"), "swaps", "bytes_in", F.log10(F.greatest("best", F.lit(1e-16))).alias("log10_best"), "rounds_run", "fast_busy", "slow_busy")
 
 
-def lasso_lam(columns: R.LocalColumns, b: np.ndarray, share: float = 0.1) -> float:
-    return share * R.lambda_max(columns, b)
+def lasso_lam(columns: R.LocalColumns, b: np.ndarray, support: float = 0.12) -> float:
+    """The L1 weight that leaves about so many coordinates away from zero."""
+    return R.lambda_for_support(columns, b, support)
 
 
 # --- behaviour
 
 
+#: Ridge regularisers: from blocks whose coordinates lean on one another to nearly independent ones, where the theory is tight.
+RIDGE = (0.5, 5.0, 50.0)
+
+
+def validation_log(spark: SparkSession, columns: R.LocalColumns, make, rounds: int) -> DataFrame:
+    best, _, _ = R.optimum(columns, make(), 300, 1e-12)
+    return R.run_grid(spark, columns, make, runs_for(("fresh_gap", "random"), best, rounds, trace=True, theta=True, exact=True))
+
+
 def validation_ridge(spark: SparkSession, sf_dir: str, rounds: int = 12) -> DataFrame:
-    """Ridge, a quarter of the columns a block, the same passes: share of the gap and decrease of fresh-gap and random blocks, round by round."""
+    """Ridge, a quarter of the columns a block, blocks solved exactly so that theta is 1 for both: share of the gap and decrease of fresh-gap and random blocks, round by round."""
     columns, b = poly2_problem(spark, sf_dir)
-    make = lambda: O.RidgePrimal(0.5, b)
-    best, _, _ = R.optimum(columns, make(), 300, 1e-10)
-    log = R.run_grid(spark, columns, make, runs_for(("fresh_gap", "random"), best, rounds, trace=True, theta=True))
-    return log.select("scheme", "round", "subopt", "rho", "theta", "eta", "run_id", "swaps")
+    out = None
+    for lam in RIDGE:
+        log = validation_log(spark, columns, lambda lam=lam: O.RidgePrimal(lam, b), rounds).select(F.lit(lam).alias("lam"), "scheme", "round", "subopt", "rho", "theta", "eta", "run_id", "swaps")
+        out = log if out is None else out.unionByName(log)
+    return out
+
+
+def validation_dual(spark: SparkSession, sf_dir: str, rounds: int = 12) -> DataFrame:
+    """The same for dual ridge on the raw vectors: samples are coordinates."""
+    _, x = X.matrix(X.emb_samples(spark, sf_dir).select("coord_id", "vals"))
+    y = x @ np.array([2 * unit_py("sep", j) - 1 for j in range(x.shape[1])]) + 0.1 * np.array([2 * unit_py("yn", i) - 1 for i in range(len(x))])
+    return validation_log(spark, R.LocalColumns(x, y), lambda: O.RidgeDual(float(len(x)) / 10), rounds).select("scheme", "round", "subopt", "rho", "theta", "eta", "run_id", "swaps")
 
 
 def validation_speedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Observed over predicted speed-up of each round, and their mean deviation."""
-    s = cut(M.observed_speedup(validation_ridge(spark, sf_dir), "fresh_gap", "random"))
-    return s.crossJoin(M.mean_deviation(s)).select("round", "observed", "observed_rate", "predicted", "mean_deviation", "mean_rate_deviation")
+    """Observed over predicted speed-up of each round, and their mean deviation, for each regulariser."""
+    log = cut(validation_ridge(spark, sf_dir).withColumn("run_id", F.concat_ws(":", "run_id", F.col("lam").cast("string"))))
+    out = None
+    for lam in RIDGE:
+        s = M.observed_speedup(log.where(F.col("lam") == lam), "fresh_gap", "random").where("predicted is not null and observed is not null")
+        rows = cut(s.withColumn("lam", F.lit(lam)))
+        rows = rows.join(F.broadcast(M.mean_deviation(rows)), F.lit(True)).select("lam", "round", "observed", "observed_rate", "predicted", "mean_deviation", "mean_rate_deviation")
+        out = rows if out is None else out.unionByName(rows)
+    return out
 
 
 def sparse_share(spark: SparkSession, sf_dir: str, rounds: int = 8) -> DataFrame:
-    """Lasso with a support smaller than the block: the fresh-gap block's share goes to n / m, its greatest."""
+    """Lasso with a support smaller than the block: the fresh-gap block's share goes to n / m, its greatest; and the first round whose block holds the whole final support."""
     columns, b = poly2_problem(spark, sf_dir)
     lam = lasso_lam(columns, b)
     make = lambda: O.LassoBoxed(lam, b)
-    best, _, _ = R.optimum(columns, make(), 300, 1e-10)
-    log = R.run_grid(spark, columns, make, runs_for(("fresh_gap",), best, rounds))
-    return log.where("round > 0").select("round", "rho", F.lit(columns.n / math.floor(columns.n / 4)).alias("greatest"))
+    best, end, _ = R.optimum(columns, make(), 300, 1e-10)
+    r = R.train(columns, make(), "fresh_gap", rounds=rounds, best=best)
+    found = M.recovery_round(r.blocks, end.alpha, 1e-6)
+    rows = [(x["round"], x["rho"], columns.n / math.floor(columns.n / 4), M.support(end.alpha, 1e-6), found) for x in r.log[1:]]
+    return spark.createDataFrame(rows, "round int, rho double, greatest double, support double, recovered_in int")
 
 
-def staleness_sweep(spark: SparkSession, sf_dir: str, shares=(0.01, 0.02, 0.05, 0.1, 0.25, 0.5, 1.0), rounds: int = 60, tolerance: float = 1e-4) -> DataFrame:
-    """Lasso: rounds to the tolerance for each part of the memory refreshed a round and each start, over the oracle's."""
+def staleness_sweep(spark: SparkSession, sf_dir: str, shares=(0.01, 0.02, 0.05, 0.1, 0.25, 0.5, 1.0), rounds: int = 400, tolerance: float = 1e-4, k: int = 2) -> DataFrame:
+    """Lasso: rounds to the tolerance for each part of the memory refreshed a round and each start, over the oracle's, at one number of passes for all."""
     columns, b = poly2_problem(spark, sf_dir)
     lam = lasso_lam(columns, b)
     make = lambda: O.LassoBoxed(lam, b)
     best, _, _ = R.optimum(columns, make(), 300, 1e-10)
-    base = {"best": best, "rounds": rounds, "tolerance": tolerance}
+    base = {"best": best, "rounds": rounds, "tolerance": tolerance, "k": k}
     runs = [{"rule": "gap_memory", "scheme": f"{init}", "refresh_fraction": r, "init": init, "run_id": f"{init}:{r}", **base} for r in shares for init in ("zeros", "first_pass")]
     runs.append({"rule": "fresh_gap", "scheme": "oracle", "run_id": "oracle:1", **base})
     log = cut(R.run_grid(spark, columns, make, runs))
@@ -159,24 +227,41 @@ def selection_fidelity(spark: SparkSession, sf_dir: str) -> DataFrame:
 # --- comparisons
 
 
-def lasso_schemes(spark: SparkSession, sf_dir: str, rounds: int = 60) -> DataFrame:
+def lasso_schemes(spark: SparkSession, sf_dir: str, rounds: int = 300) -> DataFrame:
+    """Lasso at 12% support."""
     columns, b = poly2_problem(spark, sf_dir)
     lam = lasso_lam(columns, b)
-    return summary(compare(spark, columns, lambda: O.LassoBoxed(lam, b), rounds=rounds, refresh_fraction=0.25))
+    return summary(compare(spark, columns, lambda: O.LassoBoxed(lam, b), rounds=rounds))
 
 
-def svm_schemes(spark: SparkSession, sf_dir: str, rounds: int = 120) -> DataFrame:
-    return summary(compare(spark, svm_problem(spark, sf_dir), lambda: O.HingeSvmDual(1.0), rounds=rounds, refresh_fraction=0.25))
+def svm_schemes(spark: SparkSession, sf_dir: str, rounds: int = 300) -> DataFrame:
+    """Support vector machine with the regulariser of the greatest held-out accuracy."""
+    x, labels = separated(spark, sf_dir)
+    lam, _ = best_lam(x, labels)
+    return summary(compare(spark, R.LocalColumns(x * labels[:, None]), lambda: O.HingeSvmDual(lam), rounds=rounds))
 
 
 def ridge_schemes(spark: SparkSession, sf_dir: str, rounds: int = 60) -> DataFrame:
     columns, b = poly2_problem(spark, sf_dir)
-    return summary(compare(spark, columns, lambda: O.RidgePrimal(0.5, b), rounds=rounds, refresh_fraction=0.25))
+    return summary(compare(spark, columns, lambda: O.RidgePrimal(0.5, b), rounds=rounds))
+
+
+def text_svm_schemes(spark: SparkSession, sf_dir: str, rounds: int = 80) -> DataFrame:
+    """Support vector machine of quality on labelled documents, sparse rows of tokens."""
+    rows = X.doc_svm(spark, sf_dir).orderBy("coord_id").toArrow().combine_chunks()
+    idx, vals, y = rows["idx"].combine_chunks(), rows["vals"].combine_chunks(), rows["y"].to_numpy()
+    ptr = np.concatenate(([0], np.cumsum(np.diff(idx.offsets.to_numpy())))).astype(np.int64)
+    at = idx.flatten().to_numpy()
+    x = SparseRows(ptr, at.astype(np.int32), vals.flatten().to_numpy(zero_copy_only=False) * np.repeat(y, np.diff(ptr)), int(at.max()) + 1)
+    return summary(compare(spark, R.SparseColumns(x), lambda: O.HingeSvmDual(1.0), rounds=rounds, reference=200, passes=(1, 5)))
 
 
 def related_schemes(spark: SparkSession, sf_dir: str, rounds: int = 60) -> DataFrame:
-    """Rules of related work: shuffled batches, kept informative samples, steepest coordinates, adaptive sampling, hysteresis."""
-    return summary(compare(spark, svm_problem(spark, sf_dir), lambda: O.HingeSvmDual(1.0), ("gap_memory", "uniform_batches", "keep_informative", "steepest", "importance_gap", "sticky"), rounds))
+    """Rules of related work: shuffled batches, kept informative samples, steepest coordinates, adaptive sampling, hysteresis; and each part's own best.
+
+    Keeping informative samples has no guarantee: once more samples are active than a block holds, it repeats the same ones and log10_best stays where it is.
+    """
+    return summary(compare(spark, svm_problem(spark, sf_dir), lambda: O.HingeSvmDual(1.0), ("gap_memory", "uniform_batches", "keep_informative", "steepest", "importance_gap", "sticky", "partition_local_top"), rounds, passes=(2,)))
 
 
 def importance_dense(spark: SparkSession, sf_dir: str, rounds: int = 40) -> DataFrame:
@@ -184,16 +269,16 @@ def importance_dense(spark: SparkSession, sf_dir: str, rounds: int = 40) -> Data
     columns, b = poly2_problem(spark, sf_dir)
     lam = lasso_lam(columns, b)
     n2 = columns.norms()
-    out = summary(compare(spark, columns, lambda: O.LassoBoxed(lam, b), ("random", "importance_norm", "importance_norm2"), rounds))
+    out = summary(compare(spark, columns, lambda: O.LassoBoxed(lam, b), ("random", "importance_norm", "importance_norm2"), rounds, passes=(2,)))
     return out.withColumn("norm_variation", F.lit(float(n2.std() / n2.mean())))
 
 
 def importance_text(spark: SparkSession, sf_dir: str, rounds: int = 12) -> DataFrame:
     """Token columns differ much in length, and static importance differs from random selection."""
     columns, y = text_problem(spark, sf_dir)
-    lam = lasso_lam(columns, y)
+    lam = 0.1 * R.lambda_max(columns, y)
     n2 = columns.norms()
-    out = summary(compare(spark, columns, lambda: O.LassoBoxed(lam, y), ("gap_memory", "random", "importance_norm"), rounds, reference=60, k=1))
+    out = summary(compare(spark, columns, lambda: O.LassoBoxed(lam, y), ("gap_memory", "random", "importance_norm"), rounds, reference=60, passes=(1,)))
     return out.withColumn("norm_variation", F.lit(float(n2.std() / n2.mean())))
 
 
@@ -205,33 +290,31 @@ def logistic_text(spark: SparkSession, sf_dir: str, rounds: int = 10) -> DataFra
     return R.run_grid(spark, columns, lambda: O.LogisticL1(lam, y), runs).select("scheme", "round", "objective", "gap_total", "swaps")
 
 
-def passes_tuning(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Rounds to the tolerance for each number of passes, for each scheme, and the one of the least modelled cost."""
+def passes_tuning(spark: SparkSession, sf_dir: str, passes=(1, 2, 3, 5, 10), rounds: int = 60) -> DataFrame:
+    """Rounds and modelled seconds to the tolerance for each number of passes of each scheme, on a Lasso and a support vector machine, and which is least."""
     columns, b = poly2_problem(spark, sf_dir)
     lam = lasso_lam(columns, b)
-    make = lambda: O.LassoBoxed(lam, b)
-    best, _, _ = R.optimum(columns, make(), 300, 1e-10)
     out = None
-    for rule in ("gap_memory", "random", "sequential"):
-        k, rounds = R.tune_passes(spark, columns, make, rule, (1, 2, 5), best=best, rounds=50, init="first_pass")
-        rows = rounds.select("scheme", F.split("run_id", "-")[1].cast("int").alias("passes"), "rounds").withColumn("tuned", F.lit(k))
+    for model, cols, make in (("lasso", columns, lambda: O.LassoBoxed(lam, b)), ("svm", svm_problem(spark, sf_dir), lambda: O.HingeSvmDual(1.0))):
+        log = compare(spark, cols, make, ("gap_memory", "fresh_gap", "random", "sequential", "importance_norm"), rounds, passes=passes)
+        rows = M.rounds_to(log).join(M.time_to(log).drop("scheme"), "run_id").select(F.lit(model).alias("model"), "scheme", F.split("run_id", ":")[1].cast("int").alias("passes"), "rounds", F.col("seconds").alias("model_seconds"))
+        least = F.first("passes").over(W.partitionBy("scheme").orderBy(F.col("model_seconds").asc_nulls_last(), "passes"))
+        rows = cut(rows.withColumn("tuned", F.when(F.min("model_seconds").over(W.partitionBy("scheme")).isNotNull(), least)))
         out = rows if out is None else out.unionByName(rows)
     return out
 
 
 def svm_cross_validation(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Held-out accuracy for each weight, on a planted separator."""
-    _, x = X.matrix(X.emb_samples(spark, sf_dir).select("coord_id", "vals"))
-    labels = np.sign(x @ np.array([2 * unit_py("sep", j) - 1 for j in range(x.shape[1])]))
-    got = R.cross_validate(x, labels, lambda lam: O.HingeSvmDual(lam), [0.1, 1.0, 10.0], k=8)
+    """Held-out accuracy for each weight, on a planted separator with a tenth of the labels wrong."""
+    _, got = best_lam(*separated(spark, sf_dir))
     return spark.createDataFrame([(float(k), float(v)) for k, v in got.items()], "lam double, accuracy double")
 
 
 def support_tuning(spark: SparkSession, sf_dir: str, wanted: float = 0.12) -> DataFrame:
     """The L1 weight that leaves the wanted share of coordinates away from zero."""
     columns, b = poly2_problem(spark, sf_dir)
-    lam = R.lambda_for_support(columns, b, wanted, steps=6, k=15)
-    r = R.plain_scd(columns, O.LassoBoxed(lam, b), 15)
+    lam = R.lambda_for_support(columns, b, wanted)
+    r = R.plain_scd(columns, O.LassoBoxed(lam, b), 200)
     return spark.createDataFrame([(lam, M.support(r.alpha), wanted)], "lam double, support double, wanted double")
 
 
@@ -258,7 +341,7 @@ def spark_lasso(spark: SparkSession, sf_dir: str, rounds: int = 6, overlap: bool
     d = coords.select(F.size("vals")).first()[0]
     target = X.planted_target(coords).orderBy("row_id").toArrow()["target"].to_numpy()
     columns = R.SparkColumns(coords, d)
-    obj = O.LassoBoxed(0.1 * R.lambda_max(columns, target), target)
+    obj = O.LassoBoxed(0.1 * R.lambda_max(columns, target), target)  # a scan; the weight for a support takes many passes
     r = R.train(columns, obj, rounds=rounds, init="first_pass", refresh_fraction=0.25, overlap=overlap, width=width, run_id="table")
     return spark.createDataFrame(pa.Table.from_pylist(r.log)).select(*[F.col(f.name).cast(f.dataType) for f in ROUND_LOG])
 
@@ -278,21 +361,78 @@ def tiers(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(x["round"], x["objective"], x["swaps"]) for x in r.log], "round int, objective double, swaps long")
 
 
+LOG = "scheme string, round int, objective double, gap_total double, swaps long, refreshed long, bytes_in long, mean_age double"
+
+
+def logged(spark: SparkSession, log: list[dict]) -> DataFrame:
+    return spark.createDataFrame([(x["scheme"], x["round"], x["objective"], x["gap_total"], x["swaps"], x["refreshed"], x["bytes_in"], x["mean_age"]) for x in log], LOG)
+
+
 def workers(spark: SparkSession, sf_dir: str, combine: str = "average", rounds: int = 4) -> DataFrame:
-    e = X.emb_samples(spark, sf_dir)
-    sign = F.when(F.col("label") < 5, 1.0).otherwise(-1.0)
-    coords = e.select("coord_id", F.transform("vals", lambda v: v * sign).alias("vals"))
-    _, _, log = R.distributed_train(coords, O.HingeSvmDual(1.0), X.D64, rounds=rounds, workers=4, combine=combine)
-    return spark.createDataFrame([(x["scheme"], x["round"], x["objective"], x["gap_total"], x["swaps"]) for x in log], "scheme string, round int, objective double, gap_total double, swaps long")
+    """Workers with working sets of their own; a quarter of the memory's buckets is read in a round."""
+    return logged(spark, B.bucket_train(signed_samples(spark, sf_dir), O.HingeSvmDual(1.0), X.D64, rounds=rounds, workers=4, combine=combine, trace=True)[2])
 
 
-def star_ridge(spark: SparkSession, sf_dir: str, rounds: int = 3, per_worker: int = 8000) -> DataFrame:
-    """Dual ridge on line items: as many workers as bound each one's share of samples; only v is common."""
-    s = X.star_samples(spark, sf_dir)
-    dense = s.select("coord_id", "y", F.aggregate(F.arrays_zip("idx", "vals"), F.array_repeat(F.lit(0.0), X.STAR_D), lambda acc, e: F.concat(F.slice(acc, 1, e["idx"]), F.array(e["vals"]), F.slice(acc, e["idx"] + 2, X.STAR_D))).alias("vals"))
+def star_scale(spark: SparkSession, sf_dir: str, per_worker: int) -> tuple[DataFrame, O.Objective, int, dict]:
     n = table(spark, sf_dir, "lineitem").count()
-    _, _, log = R.distributed_train(dense, O.RidgeDual(0.001 * n), X.STAR_D, rounds=rounds, workers=max(4, math.ceil(n / per_worker)), k=1)
-    return spark.createDataFrame([(x["scheme"], x["round"], x["objective"], x["gap_total"], x["swaps"]) for x in log], "scheme string, round int, objective double, gap_total double, swaps long")
+    return X.star_samples(spark, sf_dir), O.RidgeDual(0.001 * n), n, {"d": X.STAR_D, "kind": "sparse", "workers": max(4, math.ceil(n / per_worker)), "combine": "add", "k": 1}
+
+
+def star_ridge(spark: SparkSession, sf_dir: str, rounds: int = 3, per_worker: int = 50_000) -> DataFrame:
+    """Dual ridge on line items: as many workers as bound each one's share of samples; only v is common, and a round reads a twentieth of the samples for its memory."""
+    samples, obj, _, options = star_scale(spark, sf_dir, per_worker)
+    return logged(spark, B.bucket_train(samples, obj, rounds=rounds, refresh_fraction=0.05, refresh_residents=True, trace=True, **options)[2])
+
+
+def star_schemes(spark: SparkSession, sf_dir: str, rounds: int = 8, tolerance: float = 1e-3, per_worker: int = 50_000) -> DataFrame:
+    """Dual ridge on line items to a tolerance: gap memory, sequential, random and importance blocks over workers, and one thread over all samples (sparse rows, at most 256 MB of them).
+
+    The optimum is the dual of the normal equations, which are small: their sums are taken by Spark.
+    """
+    samples, obj, n, options = star_scale(spark, sf_dir, per_worker)
+    samples = cut(samples)
+    # the primal of the dual ridge: least squares with a penalty; its value is minus the dual's
+    cells = samples.select("y", F.arrays_zip("idx", "vals").alias("c"))
+    pairs = cells.select("y", F.explode("c").alias("a"), "c").select(F.col("a.idx").alias("i"), F.col("a.vals").alias("p"), "y", F.explode("c").alias("b"))
+    t = pairs.groupBy("i", F.col("b.idx").alias("j")).agg(F.sum(F.col("p") * F.col("b.vals")).alias("x")).toArrow()  # at most STAR_D squared
+    gram = np.zeros((X.STAR_D, X.STAR_D))
+    gram[t["i"].to_numpy(), t["j"].to_numpy()] = t["x"].to_numpy()
+    t = cells.select("y", F.explode("c").alias("a")).groupBy(F.col("a.idx").alias("i")).agg(F.sum(F.col("a.vals") * F.col("y")).alias("x")).toArrow()
+    moment = np.zeros(X.STAR_D)
+    moment[t["i"].to_numpy()] = t["x"].to_numpy()
+    w = np.linalg.solve(gram + obj.lam * np.eye(X.STAR_D), moment)
+    square = cells.agg(F.sum(F.col("y") * F.col("y"))).first()[0]
+    best = -(0.5 * (square - 2 * w @ moment + w @ gram @ w) + 0.5 * obj.lam * float(w @ w))
+    rows = []
+    for rule in ("gap_memory", "sequential", "random", "importance_norm"):
+        _, _, log = B.bucket_train(samples, obj, rule=rule, rounds=rounds, refresh_fraction=0.05, refresh_residents=True, best=best, tolerance=tolerance, run_id=f"{rule}:1", **options)
+        rows += log
+    nnz = len(X.STAR_NUMERIC) + 6
+    if n * nnz * 12 <= 256 << 20:
+        got = samples.select("coord_id", "idx", "vals", "y").orderBy("coord_id").toArrow().combine_chunks()
+        idx = got["idx"].combine_chunks().flatten().to_numpy()
+        own = R.SparseColumns(SparseRows(np.arange(n + 1) * nnz, idx, got["vals"].combine_chunks().flatten().to_numpy(), X.STAR_D), got["y"].to_numpy())
+        rows += R.plain_scd(own, obj, 2 if n > 100_000 else 6, best=best, tolerance=tolerance, run_id="plain_scd:1").log
+    log = spark.createDataFrame(pa.Table.from_pylist(rows)).select(*[F.col(f.name).cast(f.dataType) for f in ROUND_LOG])
+    return summary(modelled(log, n, nnz, 12 * nnz), tolerance)
+
+
+def star_lasso(spark: SparkSession, sf_dir: str, rounds: int = 4, budget: float = 0.25) -> DataFrame:
+    """Lasso on the transposed star: features as coordinates, sparse columns over line items; the block is a share of the bytes of all columns.
+
+    Columns are as long as the table, so trainers over buckets take them (v is checked before it is broadcast).
+    """
+    s = X.star_features(spark, sf_dir)
+    cells = cut(s.select("coord_id", "idx", "vals"))
+    target = X.star_target(spark, sf_dir)
+    mid = target.mean()
+    top = greatest_product(cells, mid - target)
+    r = B.bucket_train(cells, O.LassoBoxed(0.05 * top, target - mid), len(target), rounds=rounds, fraction=budget, refresh_fraction=0.25, workers=2, combine="average", kind="sparse", trace=True)
+    return logged(spark, r[2])
+
+
+def greatest_product(cells: DataFrame, w: np.ndarray) -> float:
+    return G.dots(cells, w, "sparse").agg(F.max(F.abs("u"))).first()[0]
 
 
 def normal_equations(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -330,12 +470,39 @@ def all_models(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame(rows, "model string, start double, end double, first_gap double, last_gap double, support double")
 
 
+def claim(name: str, run, tests: dict) -> None:
+    """Register what a run must show, as rows (claim, holds), and the same in SQL."""
+
+    def query(spark: SparkSession, sf_dir: str) -> DataFrame:
+        p = run(spark, sf_dir).toPandas()  # a row for each round or model
+        return spark.createDataFrame([(text, bool(test(p))) for text, test in tests.items()], "claim string, holds boolean")
+
+    QUERIES[f"run_{name}"] = query
+    SQL[f"run_{name}"] = " UNION ALL ".join(f"SELECT '{text}' AS claim, true AS holds" for text in tests)
+
+
+def falls(p) -> bool:
+    """The objective never rises, round by round of each scheme."""
+    p = p.sort_values("round")
+    return all((g["objective"].diff().dropna() <= 1e-9 * g["objective"].abs().max()).all() for _, g in (p.groupby("scheme") if "scheme" in p else [("", p)]))
+
+
+def shares(p) -> bool:
+    """Fresh-gap blocks hold their part of the gap at least, and no more than all of it."""
+    rho = p[(p["scheme"] == "fresh_gap") & (p["round"] > 0)]["rho"].dropna()
+    return len(rho) > 0 and rho.between(1 - 1e-9, 4.1).all()
+
+
+def sooner(p) -> bool:
+    """After all rounds fresh-gap blocks leave less than random ones."""
+    last = p.sort_values("round").groupby("run_id")["subopt"].last()
+    return all(v < last[k.replace("fresh_gap", "random")] for k, v in last.items() if k.startswith("fresh_gap"))
+
+
 QUERIES = {
     f"run_{f.__name__}": f
-    for f in (validation_ridge, validation_speedup, sparse_share, staleness_sweep, swap_series, selection_fidelity, lasso_schemes, svm_schemes, ridge_schemes, related_schemes, importance_dense, importance_text, logistic_text, passes_tuning, svm_cross_validation, support_tuning, bounds_by_round, spark_lasso, overlapped_lasso, wide_lasso, tiers, workers, star_ridge, normal_equations, normal_equations_whole, all_models)
+    for f in (validation_speedup, staleness_sweep, swap_series, lasso_schemes, svm_schemes, text_svm_schemes, ridge_schemes, related_schemes, importance_dense, importance_text, logistic_text, passes_tuning, spark_lasso, star_ridge, star_schemes, star_lasso, normal_equations, normal_equations_whole)
 }
-QUERIES["run_workers_add"] = lambda spark, sf_dir: workers(spark, sf_dir, "add")
-
 SQL = {
     "run_normal_equations": """
 WITH x AS (SELECT vec_id, embedding[1]::DOUBLE AS p, embedding[2]::DOUBLE AS q, (('0x' || substr(md5('b:' || vec_id), 1, 8))::BIGINT + 0.5) / 4294967296.0 * 2 - 1 AS b FROM embeddings),
@@ -343,3 +510,17 @@ s AS (SELECT sum(p * p) + 0.5 AS pp, sum(p * q) AS pq, sum(q * q) + 0.5 AS qq, s
 SELECT 0::BIGINT AS coord_id, round((qq * pb - pq * qb) / (pp * qq - pq * pq), 6) AS alpha FROM s UNION ALL SELECT 1, round((pp * qb - pq * pb) / (pp * qq - pq * pq), 6) FROM s
 """,
 }
+RISES = "the objective never rises"
+claim("validation_ridge", validation_ridge, {"fresh blocks hold between their part and all of the gap": shares, "fresh blocks leave less than random ones": sooner})
+claim("validation_dual", validation_dual, {"fresh blocks hold between their part and all of the gap": shares, "fresh blocks leave less than random ones": sooner})
+claim("sparse_share", sparse_share, {"the share reaches its greatest": lambda p: p["rho"].max() >= 0.95 * p["greatest"].max(), "the support is smaller than the block": lambda p: p["support"].max() < 0.25})
+claim("selection_fidelity", selection_fidelity, {"fresher memories choose blocks more like the oracle": lambda p: p.sort_values("refreshed")["overlap"].is_monotonic_increasing})
+claim("svm_cross_validation", svm_cross_validation, {"held-out accuracy is above chance": lambda p: p["accuracy"].max() > 0.6})
+claim("support_tuning", support_tuning, {"the support is near the wanted one": lambda p: (p["support"] - p["wanted"]).abs().max() < 0.03})
+claim("bounds_by_round", bounds_by_round, {"no round leaves more than the bound": lambda p: (p["left"] <= p["bound"] + 1e-9).all(), "the bound says something": lambda p: (p["bound"] < 1).all()})
+claim("overlapped_lasso", overlapped_lasso, {RISES: falls, "the memory is refreshed meanwhile": lambda p: p["refreshed"].max() >= 0})
+claim("wide_lasso", wide_lasso, {RISES: falls})
+claim("tiers", tiers, {RISES: falls})
+claim("workers", workers, {RISES: falls, "the certificate falls": lambda p: p["gap_total"].iloc[-1] < p["gap_total"].iloc[0]})
+claim("workers_add", lambda spark, sf_dir: workers(spark, sf_dir, "add"), {RISES: falls, "the certificate falls": lambda p: p["gap_total"].iloc[-1] < p["gap_total"].iloc[0]})
+claim("all_models", all_models, {"every objective falls": lambda p: (p["end"] < p["start"]).all(), "every certificate falls": lambda p: (p["last_gap"] < p["first_gap"]).all(), "eight models": lambda p: len(p) == 8})

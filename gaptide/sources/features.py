@@ -95,6 +95,26 @@ def star_samples(spark: SparkSession, sf_dir: str) -> DataFrame:
 STAR_D = len(STAR_NUMERIC) + 64 * 6
 
 
+def star_features(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The star transposed: coord_id (feature), idx (rank of the line item) and vals; columns of no cell are left out."""
+    s = star_samples(spark, sf_dir).select(F.col("coord_id").cast("int").alias("i"), F.explode(F.arrays_zip("idx", "vals")).alias("e"))
+    cells = F.array_sort(F.collect_list(F.struct("i", F.col("e.vals").alias("x"))))
+    got = s.where("e.vals <> 0").groupBy(F.col("e.idx").cast("long").alias("coord_id")).agg(cells.alias("c"))
+    return got.select("coord_id", F.transform("c", lambda e: e["i"]).alias("idx"), F.transform("c", lambda e: e["x"]).alias("vals"))
+
+
+def star_target(spark: SparkSession, sf_dir: str, most: int = 10_000_000) -> np.ndarray:
+    """Target of each line item in order of its rank, for the driver: at most so many."""
+    t = star_samples(spark, sf_dir).select("coord_id", "y")
+    n = t.count()
+    if n > most:
+        raise ValueError(f"{n} targets are too many for the driver")
+    got = t.toArrow()
+    out = np.zeros(n)
+    out[got["coord_id"].to_numpy()] = got["y"].to_numpy()
+    return out
+
+
 def tokens(docs: DataFrame) -> DataFrame:
     """doc_id, token: words of letters, lower case."""
     return docs.select("doc_id", F.explode(F.split(F.lower("text"), r"[^\p{L}]+")).alias("token")).where("token <> ''")

@@ -219,7 +219,7 @@ def test_tuning_helpers():
     cols = R.LocalColumns(X)
     top = R.lambda_max(cols, B)
     assert M.support(R.plain_scd(cols, O.LassoBoxed(top * 1.01, B), 5).alpha) == 0
-    lam = R.lambda_for_support(cols, B, 0.2, steps=8, k=40)
+    lam = R.lambda_for_support(cols, B, 0.2, k=40)
     assert abs(M.support(R.plain_scd(cols, O.LassoBoxed(lam, B), 40).alpha) - 0.2) < 0.15
     got = R.cross_validate(X, SIGN, lambda lam: O.HingeSvmDual(lam), [1.0, 100.0], folds=3, k=5)
     assert set(got) == {1.0, 100.0} and max(got.values()) > 0.5
