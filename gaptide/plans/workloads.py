@@ -133,7 +133,7 @@ def summary(log: DataFrame, tolerance: float = 1e-4) -> DataFrame:
 
 def lasso_lam(columns: R.LocalColumns, b: np.ndarray, support: float = 0.12) -> float:
     """The L1 weight that leaves about so many coordinates away from zero."""
-    return R.lambda_for_support(columns, b, support)
+    return R.lambda_on_path(columns, b, support)
 
 
 # --- behaviour
@@ -313,7 +313,7 @@ def svm_cross_validation(spark: SparkSession, sf_dir: str) -> DataFrame:
 def support_tuning(spark: SparkSession, sf_dir: str, wanted: float = 0.12) -> DataFrame:
     """The L1 weight that leaves the wanted share of coordinates away from zero."""
     columns, b = poly2_problem(spark, sf_dir)
-    lam = R.lambda_for_support(columns, b, wanted)
+    lam = R.lambda_on_path(columns, b, wanted)
     r = R.plain_scd(columns, O.LassoBoxed(lam, b), 200)
     return spark.createDataFrame([(lam, M.support(r.alpha), wanted)], "lam double, support double, wanted double")
 

@@ -124,5 +124,5 @@ def test_a_weight_for_a_support():
     x = gen.standard_normal((200, 60))
     x /= np.linalg.norm(x, axis=1)[:, None]
     b = gen.standard_normal(60)
-    lam = R.lambda_for_support(R.LocalColumns(x), b, 0.12)
+    lam = R.lambda_on_path(R.LocalColumns(x), b, 0.12)
     assert abs(M.support(R.plain_scd(R.LocalColumns(x), O.LassoBoxed(lam, b), 300).alpha) - 0.12) < 0.03
