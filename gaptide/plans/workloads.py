@@ -290,7 +290,7 @@ def logistic_text(spark: SparkSession, sf_dir: str, rounds: int = 10) -> DataFra
     return R.run_grid(spark, columns, lambda: O.LogisticL1(lam, y), runs).select("scheme", "round", "objective", "gap_total", "swaps")
 
 
-def passes_tuning(spark: SparkSession, sf_dir: str, passes=(1, 2, 3, 5, 10), rounds: int = 60) -> DataFrame:
+def passes_tuning(spark: SparkSession, sf_dir: str, passes=(1, 2, 3, 5, 10), rounds: int = 200) -> DataFrame:
     """Rounds and modelled seconds to the tolerance for each number of passes of each scheme, on a Lasso and a support vector machine, and which is least."""
     columns, b = poly2_problem(spark, sf_dir)
     lam = lasso_lam(columns, b)
