@@ -204,7 +204,7 @@ def staleness_sweep(spark: SparkSession, sf_dir: str, shares=(0.01, 0.02, 0.05,
     return got.crossJoin(oracle).select("scheme", F.split("run_id", ":")[1].cast("double").alias("refreshed"), "rounds", "mean_delay", (F.col("rounds") / F.col("oracle_rounds")).alias("over_oracle"), "swaps")
 
 
-def swap_series(spark: SparkSession, sf_dir: str, shares=(0.05, 0.25, 1.0), rounds: int = 30) -> DataFrame:
+def swap_series(spark: SparkSession, sf_dir: str, shares=(0.05, 0.25, 1.0), rounds: int = 120) -> DataFrame:
     """Lasso: columns replaced in each round."""
     columns, b = poly2_problem(spark, sf_dir)
     lam = lasso_lam(columns, b)
