@@ -14,7 +14,7 @@ common, as otherwise repetitions across the two weigh as squares.
 Plans are DataFrame functions only: a paragraph's lanes are hashes of two 64-bit hashes of it.
 
 Cases: null text is the empty text; two empty texts are alike (1); equal texts have equal fingerprints; rows with one
-doc_id come in the order of their texts; null doc_ids come after all others; the last document is followed by the first,
+doc_id come in the order of their texts; null doc_ids come after all others, by descending hash of their texts; the last document is followed by the first,
 a single one by itself; an empty table gives an empty table; extra columns aren't read.
 """
 
@@ -34,7 +34,7 @@ MIDDLE = (2**LANE_BITS - 1) / 2
 SPREAD = (4.0**LANE_BITS - 1) / 12  # variance of a lane's hash
 PIECE = 6
 #: Most buckets that neighbours are sought in; their bounds are all that the driver holds.
-MOST_BUCKETS = 16384
+MOST_BUCKETS = 131072
 
 
 def paragraphs(text: Column) -> Column:
@@ -129,10 +129,15 @@ def fingerprints(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Da
     return docs.select(key, body.alias("text")).withColumn("vector", vector(F.col("text")))
 
 
-def _bounds(ids: DataFrame, rows_in_bucket: int) -> tuple[list, list]:
+def _longs(values: list) -> Column:
+    """An array of whole numbers or nulls as one constant, however many they are."""
+    return F.split(F.lit(",".join("" if v is None else str(v) for v in values)), ",").cast("array<bigint>") if values else F.array().cast("array<bigint>")
+
+
+def _bounds(ids: DataFrame, n: int, rows_in_bucket: int) -> tuple[list, list]:
     """First and last key of each bucket, in order: the ends of range partitions of the keys alone."""
-    parts = max(1, min(MOST_BUCKETS, ids.count() // rows_in_bucket))
-    ends = ids.repartitionByRange(parts, "k").groupBy(F.spark_partition_id().alias("p")).agg(F.min("k").alias("lo"), F.max("k").alias("hi"))
+    parts = max(1, min(MOST_BUCKETS, n // rows_in_bucket))
+    ends = ids.where("k is not null").repartitionByRange(parts, "k").groupBy(F.spark_partition_id().alias("p")).agg(F.min("k").alias("lo"), F.max("k").alias("hi"))
     found = sorted((r["lo"], r["hi"]) for r in ends.select("lo", "hi").where("lo is not null").collect())
     return [x for x, _ in found], [y for _, y in found]
 
@@ -140,28 +145,40 @@ def _bounds(ids: DataFrame, rows_in_bucket: int) -> tuple[list, list]:
 def _place(k: Column, lows: list) -> Column:
     """Index of the bucket of a key: a search among groups of bounds, then within one."""
     step = max(1, int(len(lows) ** 0.5))
-    heads = lows[::step]
-    kind = "bigint"
-    group = F.greatest(F.lit(1), F.size(F.filter(F.lit(heads).cast(f"array<{kind}>"), lambda b: b <= k)))
-    rest = F.lit([lows[i : i + step] for i in range(0, len(lows), step)]).cast(f"array<array<{kind}>>") if step > 1 else None
-    inner = F.size(F.filter(F.element_at(rest, group), lambda b: b <= k)) if rest is not None else F.lit(1)
-    return F.coalesce(F.greatest((group - 1) * step + inner - 1, F.lit(0)), F.lit(0))
+    group = F.greatest(F.lit(1), F.size(F.filter(_longs(lows[::step]), lambda b: b <= k)))
+    inner = F.size(F.filter(F.slice(_longs(lows), (group - 1) * step + 1, step), lambda b: b <= k))
+    return F.greatest((group - 1) * step + inner - 1, F.lit(0))
+
+
+def _keyless(docs: DataFrame, n: int, rows_in_bucket: int) -> tuple[Column, list, list]:
+    """Cell of a row without a key, by ranges of its text's hash; the cells that hold rows, and the greatest hash of each."""
+    parts = max(1, min(MOST_BUCKETS, n // rows_in_bucket))
+    cell = F.floor((F.shiftright(F.col("h"), 32) + F.lit(1 << 31)) * F.lit(parts) / F.lit(1 << 32)).cast("int")
+    tops = sorted((r["c"], r["top"]) for r in docs.where("k is null").groupBy(cell.alias("c")).agg(F.max("h").alias("top")).collect())
+    return cell, [c for c, _ in tops], [t for _, t in tops]
 
 
 def with_next(docs: DataFrame, key: str = "doc_id", rows_in_bucket: int = 400) -> DataFrame:
     """Each row of fingerprints() with next_text and next_vector of the document that follows in descending key, the first after the last.
 
-    Texts are shuffled once, by ranges of the key; the first rows of a range go to the range before it too.
+    Texts are shuffled once, by ranges of the key (of the text's hash, where there is no key); the first rows of a range go
+    to the range before it too.
     """
-    lows, highs = _bounds(docs.select(F.col(key).alias("k")), rows_in_bucket)
-    if not lows:
-        lows, highs = [0], [None]
-    n = len(lows)
-    placed = docs.withColumn("bucket", _place(F.col(key), lows))
-    first = F.col(key).eqNullSafe(F.element_at(F.lit(highs).cast("array<bigint>") if highs != [None] else F.array(F.lit(None).cast("bigint")), F.col("bucket") + 1))
-    copies = F.when(first, F.array(F.struct(F.col("bucket").alias("b"), F.lit(False).alias("guest")), F.struct(F.pmod(F.col("bucket") + 1, F.lit(n)).alias("b"), F.lit(True).alias("guest")))).otherwise(F.array(F.struct(F.col("bucket").alias("b"), F.lit(False).alias("guest"))))
-    rows = placed.select("*", F.explode(copies).alias("c")).select(key, "text", "vector", F.col("c.b").alias("b"), F.col("c.guest").alias("guest"))
-    order = W.partitionBy("b").orderBy("guest", F.col(key).desc_nulls_last(), "text")
+    hashed = docs.withColumn("h", F.when(F.col(key).isNull(), F.xxhash64("text")))
+    counts = docs.agg(F.count(F.lit(1)).alias("n"), F.count(key).alias("keyed")).first()
+    lows, highs = _bounds(docs.select(F.col(key).alias("k")), counts["keyed"], rows_in_bucket) if counts["keyed"] else ([], [])
+    place, first, n, below = _place(F.col(key), lows), F.col(key), len(lows), 0
+    tops = highs
+    if counts["n"] > counts["keyed"]:
+        cell, cells, heads = _keyless(docs.select(F.col(key).alias("k"), F.xxhash64("text").alias("h")), counts["n"] - counts["keyed"], rows_in_bucket)
+        below = len(cells)
+        place = F.when(F.col(key).isNull(), F.array_position(_longs(cells), cell.cast("bigint")).cast("int") - 1).otherwise(place + below)
+        first, tops, n = F.coalesce(F.col(key), F.col("h")), heads + highs, n + below
+    placed = hashed.withColumn("bucket", place)
+    here, there = F.struct(F.col("bucket").alias("b"), F.lit(False).alias("guest")), F.struct(F.pmod(F.col("bucket") + 1, F.lit(max(n, 1))).alias("b"), F.lit(True).alias("guest"))
+    copies = F.when(first == F.get(_longs(tops), F.col("bucket")), F.array(here, there)).otherwise(F.array(here))
+    rows = placed.select("*", F.explode(copies).alias("c")).select(key, "text", "vector", "h", F.col("c.b").alias("b"), F.col("c.guest").alias("guest"))
+    order = W.partitionBy("b").orderBy("guest", F.col(key).desc_nulls_last(), F.col("h").desc(), "text")
     nxt = F.lead(F.struct("text", "vector")).over(order)
     return rows.withColumn("nxt", nxt).where(~F.col("guest")).select(key, "text", "vector", F.col("nxt.text").alias("next_text"), F.col("nxt.vector").alias("next_vector"))
 

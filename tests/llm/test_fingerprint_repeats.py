@@ -52,3 +52,14 @@ def test_likeness_to_edited_form_is_near_the_exact_one(spark):
             ratios.append(off[-1] / max(1 - want, 1e-9))
     # a mean of 64 squares: a standard deviation of sqrt(2 / 64) of the difference
     assert max(ratios) < 4 * (2 / 64) ** 0.5 and sum(off) / len(off) < 0.1
+
+
+def test_next_documents_over_many_buckets_and_null_keys(spark):
+    texts = [f"text number {i} " + "x" * (i % 7) for i in range(300)]
+    for keys in ([i // 3 * 5 for i in range(300)], [None if i % 3 else i for i in range(300)], [None] * 300):
+        rows = spark.createDataFrame(list(zip(keys, texts)), "doc_id long, text string").repartition(7)
+        ranked = rows.withColumn("h", F.xxhash64("text")).collect()
+        order = sorted(ranked, key=lambda r: (r[0] is None, -(r[0] or 0), -r["h"] if r[0] is None else 0, r["text"]))
+        want = {r["text"]: n["text"] for r, n in zip(order, order[1:] + order[:1])}
+        got = fingerprint.with_next(fingerprint.fingerprints(rows), rows_in_bucket=4).select("text", "next_text").collect()
+        assert len(got) == 300 and {r["text"]: r["next_text"] for r in got} == want
