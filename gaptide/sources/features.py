@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..common import hash32, table, unit_draw
@@ -124,7 +123,7 @@ def doc_tf(spark: SparkSession, sf_dir: str, least_docs: int = 5) -> DataFrame:
     """coord_id (rank of the token), token, row_id (doc_id), x: counts of tokens in at least so many documents, labelled documents only."""
     tf = tokens(table(spark, sf_dir, "documents", "doc_id", "text")).groupBy("doc_id", "token").agg(F.count(F.lit(1)).cast("double").alias("x"))
     df = tf.groupBy("token").agg(F.count(F.lit(1)).alias("df")).where(F.col("df") >= least_docs)
-    ids = df.select("token", (F.row_number().over(W.partitionBy(F.lit(0)).orderBy("token")) - 1).cast("long").alias("coord_id"))  # the vocabulary, not the text
+    ids = dense_ids(df.select("token"), "token")
     labelled = table(spark, sf_dir, "labels", "doc_id")
     return tf.join(labelled, "doc_id", "left_semi").join(ids, "token").select("coord_id", "token", F.col("doc_id").alias("row_id"), "x")
 
