@@ -5,7 +5,7 @@ import pytest
 
 from gaptide.common import hash32_np, hash32_py
 from gaptide.functions import objectives as O
-from gaptide.operators.solve import SparseRows, passes
+from gaptide.operators.solve import SparseRows, StoredRows, passes
 
 
 def one_by_one(x, alpha, v, obj, k, seed):
@@ -52,3 +52,22 @@ def test_resting_coordinates_are_passed_over_and_nothing_else_changes(obj, spars
 def test_draws_are_those_of_the_hash(prefix):
     for n in (0, 1, 11, 1234, 40_000):
         assert hash32_np(prefix, n).tolist() == [hash32_py(prefix, i) for i in range(n)]
+
+
+def test_rows_in_files_are_not_copied_into_blocks(tmp_path):
+    rng = np.random.default_rng(3)
+    x = rng.standard_normal((300, 40)) * (rng.random((300, 40)) < 0.2)
+    x[[0, 17, 299]] = 0.0
+    own = SparseRows.of(*np.nonzero(x), x[np.nonzero(x)], *x.shape)
+    for part in ("ptr", "idx", "vals"):
+        getattr(own, part).tofile(tmp_path / f"rows.{part}")
+    stored = StoredRows(str(tmp_path / "rows"), 40)
+    w, some, alpha = rng.standard_normal(40), np.array([5, 299, 0, 17, 4]), np.zeros(300)
+    picked = stored[some].joined(stored[np.arange(300) > 290])[np.arange(12)]
+    ids = np.concatenate((some, np.arange(291, 298)))
+    assert picked.idx is stored.idx and picked.vals is stored.vals and picked.nbytes == own[ids].nbytes - own[ids].ptr.nbytes
+    assert (picked @ w == own[ids] @ w).all() and (w[:12] @ picked == w[:12] @ own[ids]).all() and (picked.norms() == own[ids].norms()).all()
+    assert len(stored[np.array([], int)] @ w) == 0
+    for obj in (O.HingeSvmDual(1.0), O.LogisticL1(0.1, np.sign(w))):
+        a, b = passes(picked, alpha[ids], np.zeros(40), obj, 0.0, 3), passes(own[ids], alpha[ids], np.zeros(40), obj, 0.0, 3)
+        assert (a.delta == b.delta).all() and a.delta.any()
